@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from . import language
+from . import language, quality, token_counts
 
 QUERIES = {
     "op1_language": language.op1_language,
+    "op2_quality": quality.op2_quality,
+    "op5_token_counts": token_counts.op5_token_counts,
 }
 
 ORACLE: dict[str, str] = {}
