@@ -34,7 +34,9 @@ _STATES, _SYMBOLS = 13, 12
 #: Code points of a chunk.
 CHUNK = 128
 #: Distinct pieces that a worker keeps at most before it starts anew.
-KEEP = 3_000_000
+KEEP = 1_500_000
+#: States of the merger that a worker keeps at most before it starts anew; about 1 kB each.
+STATES = 250_000
 
 
 @lru_cache(maxsize=1)
@@ -295,8 +297,8 @@ class Merger:
     def counts(self, words: list[str]) -> np.ndarray:
         """Tokens of each piece; an added token counts as one."""
         out, moves = np.zeros(len(words), np.int32), self.moves
-        if len(self.states) > 2_000_000:
-            self.ids, self.states = {}, []
+        if len(self.states) > STATES:
+            self.ids, self.states, self.legal = {}, [], {}
             moves.clear()
             self._state((b"", (b"",), (0,)))
         for i, w in enumerate(words):
