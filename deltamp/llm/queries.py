@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from . import language, quality, token_counts
+from . import language, packing, quality, token_counts
 
 QUERIES = {
     "op1_language": language.op1_language,
     "op2_quality": quality.op2_quality,
+    "op4_packing": packing.op4_packing,
     "op5_token_counts": token_counts.op5_token_counts,
 }
 
