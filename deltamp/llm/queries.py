@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, decontaminate, language, licences, near_duplicates, packing, quality, token_counts
+from . import chat, decontaminate, language, licences, near_duplicates, neighbours, packing, quality, token_counts
 
 QUERIES = {
     "op1_language": language.op1_language,
@@ -12,6 +12,7 @@ QUERIES = {
     "op5_token_counts": token_counts.op5_token_counts,
     "op7_licences": licences.op7_licences,
     "op8_near_duplicates": near_duplicates.op8_near_duplicates,
+    "op9_neighbours": neighbours.op9_neighbours,
     "op10_decontamination": decontaminate.op10_decontamination,
 }
 
