@@ -129,7 +129,7 @@ _INCREMENTAL = (
 )
 
 for _name, _graph, _kind, _k, _how, _opt in _INCREMENTAL:
-    query(_name, O.full(_graph, _kind, _k, D, _how))(lambda s, d, g=_graph, a=(_kind, _k, D, _how, HELD), o=_opt: _long(run(s, d, g, *a, **o).session.outputs()))
+    query(_name, O.full(_graph, _kind, _k, D, _how))(lambda s, d, g=_graph, a=(_kind, _k, D, _how, HELD, 10 if _name == "gcn_incremental" else HELD), o=_opt: _long(run(s, d, g, *a, **o).session.outputs()))
 
 
 @query("gcn_checkpoints_stage1", O.full("user_item", "gcn", 2, D, "min", O.long("a1", D, "WHERE v IS NOT NULL")))
@@ -196,7 +196,7 @@ def area_tight_k2(s: SparkSession, d: str) -> DataFrame:
 @query("real_affected", O.both("cust_part", HELD, "gcn", 2, D, "min", "SELECT b.node_id FROM bm3 b JOIN cm3 c USING (node_id) WHERE b.v <> c.v"))
 def real_affected(s: SparkSession, d: str) -> DataFrame:
     """Nodes whose output really changed between the first and the last version."""
-    session = run(s, d, "cust_part", held=HELD).session
+    session = run(s, d, "cust_part", held=HELD, batch=HELD).session
     old, new = session.outputs(0), session.outputs()
     return old.join(new.withColumnRenamed("vec", "now"), "node_id").where("vec <> now").select("node_id")
 
@@ -213,7 +213,7 @@ _GROUPED = _SEEDS + f", g AS (SELECT dst, i, min(CASE WHEN op = 'del' THEN v[i]
 
 def _stage1(s: SparkSession, d: str) -> DataFrame:
     """Reduced events and old aggregates of the first stage, all held-out changes as one batch; messages there don't change."""
-    st, session = stream(s, d, "cust_part", HELD), run(s, d, "cust_part", held=HELD).session
+    st, session = stream(s, d, "cust_part", HELD), run(s, d, "cust_part", held=HELD, batch=HELD).session
     vectors = session.checkpoint(1, "msg", 0).select(F.col("node_id").alias("src"), F.explode(F.array(F.lit("before"), F.lit("after"))).alias("side"), "vec")
     grouped = reduce_events(attach(seed_events(st.delta), vectors), "min", D)
     return grouped.join(session.checkpoint(1, "agg", 0).select(F.col("node_id").alias("dst"), F.col("vec").alias("old")), "dst", "left")
@@ -253,7 +253,7 @@ def memory_access_affected(s: SparkSession, d: str) -> DataFrame:
 @query("memory_access_incremental")
 def memory_access_incremental(s: SparkSession, d: str) -> DataFrame:
     """C8 by kind of saved vector."""
-    return run(s, d, "cust_part", held=HELD).session.reads().groupBy("kind").agg(F.sum("n").alias("n"))
+    return run(s, d, "cust_part", held=HELD, batch=HELD).session.reads().groupBy("kind").agg(F.sum("n").alias("n"))
 
 
 @query("storage_overhead", O.full("user_item", "gcn", 2, D, "min", f"SELECT ((SELECT count(*) FROM nodes) * 3 * {D} + (SELECT count(*) FROM a1 WHERE v IS NOT NULL) * {D} + (SELECT count(*) FROM a2 WHERE v IS NOT NULL) * {D})::BIGINT AS n_floats, ((SELECT count(*) FROM nodes) * {D} * 8 + (SELECT count(*) FROM e) * 16)::BIGINT AS data_bytes"))
@@ -264,7 +264,7 @@ def storage_overhead(s: SparkSession, d: str) -> DataFrame:
 
 @query("condition_shares")
 def condition_shares(s: SparkSession, d: str) -> DataFrame:
-    return C.condition_shares(run(s, d, "cust_part", held=HELD).session.stats())
+    return C.condition_shares(run(s, d, "cust_part", held=HELD, batch=HELD).session.stats())
 
 
 @query("report_rollup", f"WITH {O.LOGS['user_item']}, x AS (SELECT CASE WHEN a % 4 = 0 THEN 'user' ELSE 'item' END AS side, op FROM log) SELECT side, op, count(*) AS n FROM x GROUP BY ROLLUP (side, op)")
@@ -306,7 +306,7 @@ def link_scores_topk(s: SparkSession, d: str) -> DataFrame:
 def ungrouped_differs(s: SparkSession, d: str) -> DataFrame:
     """B6 against B7: outputs that go wrong when events are applied one by one."""
     right = run(s, d, "user_item", held=HELD).session.outputs()
-    wrong = run(s, d, "user_item", held=HELD, mode="ungrouped").session.outputs()
+    wrong = run(s, d, "user_item", held=HELD, batch=HELD, mode="ungrouped").session.outputs()
     return right.exceptAll(wrong).agg(F.count("*").alias("n_wrong"))
 
 

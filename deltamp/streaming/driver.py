@@ -55,7 +55,7 @@ def start(runner: StreamRunner, events: DataFrame, checkpoint: str, trigger: dic
     return events.writeStream.foreachBatch(runner).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
 
 
-def stream_user_item(spark: SparkSession, sf_dir: str, model: ModelSpec, held: int = 60, files: int = 3) -> IncrementalSession:
+def stream_user_item(spark: SparkSession, sf_dir: str, model: ModelSpec, held: int = 30, files: int = 2) -> IncrementalSession:
     """The newest ``held`` events as files of a stream over the graph of all earlier ones, run to the end."""
     events = spark.read.parquet(f"{sf_dir}/events.parquet").select(*(f.name for f in EVENTS))
     newest = cut(events.orderBy(F.desc("ts"), F.desc("event_id")).limit(held))
