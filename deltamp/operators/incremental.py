@@ -93,14 +93,15 @@ def advance(state: State, edges: Edges, delta: DataFrame, model: ModelSpec, opti
         # vectors: what changed is at hand, the seeds' other sources are looked up
         seeds = delta.select(F.col("src").alias("node_id")).distinct()
         others = cut(seeds.join(changed.select("node_id"), "node_id", "left_anti") if size else seeds)
-        held = messages.lookup(others, others.count())
+        n_others = others.count()
+        held = messages.lookup(others, n_others)
         vectors = held.select(F.col("node_id").alias("src"), F.explode(F.array(F.lit("before"), F.lit("after"))).alias("side"), "vec")
         if size:
             both = changed.select(F.col("node_id").alias("src"), F.explode(F.array(F.struct(F.lit("before").alias("side"), F.col("old").alias("vec")), F.struct(F.lit("after").alias("side"), F.col("new").alias("vec")))).alias("x")).select("src", "x.side", "x.vec")
             vectors = vectors.unionByName(both)
         attached = attach(events, vectors, options.share)
-        targets = cut(events.select(F.col("dst").alias("node_id")).distinct())
-        n_targets = targets.count()
+        targets = cut(events.groupBy(F.col("dst").alias("node_id")).agg(F.count("*").alias("n")))
+        n_targets, n_events = targets.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first()
         old = aggregates.lookup(targets, n_targets).select(F.col("node_id").alias("dst"), F.col("vec").alias("old"))
         if options.mode == "ungrouped":
             rows = cut(fold_events(attached, old, how).withColumn("condition", F.lit("ungrouped")))
@@ -149,7 +150,7 @@ def advance(state: State, edges: Edges, delta: DataFrame, model: ModelSpec, opti
         last = state.msg[s + 1].lookup(ids, n_touched).withColumnRenamed("vec", "old")
         nxt = fresh.join(last, "node_id").select("node_id", "old", "new")
         nxt = cut(nxt.where(~F.col("new").eqNullSafe(F.col("old"))) if options.compare == "message" else nxt)
-        reads = [("aggregate", n_targets), ("seed_message", others.count()), ("frontier_message", size), ("recompute_message", pulled), ("self_message", n_touched if stage.self_term else 0), ("event", events.count())]
+        reads = [("aggregate", n_targets), ("seed_message", n_others), ("frontier_message", size), ("recompute_message", pulled), ("self_message", n_touched if stage.self_term else 0), ("event", n_events)]
         step.reads += [(batch, s, kind, n) for kind, n in reads]
         if size:  # all that reads the old messages of stage s is done
             state.msg[s].commit(changed.select("node_id", F.col("new").alias("vec")), version)

@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 BROADCAST_BYTES = 64 << 20
 #: Ids at most that are turned into a static list of buckets for a pruned scan.
 PRUNE_IDS = 512
+#: Buckets from which on a pruned scan is worth the job that finds the buckets.
+PRUNE_BUCKETS = 32
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -83,7 +85,7 @@ class Table:
     def lookup(self, keys: DataFrame, count: int, version: int | None = None) -> DataFrame:
         """Rows of the given distinct ids: few ids prune the base to their buckets, more are broadcast or shuffled."""
         base, over = self._base(), self._overlay(version)
-        if 0 < count <= PRUNE_IDS:
+        if 0 < count <= PRUNE_IDS and self.buckets >= PRUNE_BUCKETS:
             hit = [r[0] for r in keys.select(self.bucket().alias("b")).distinct().collect()]
             base = base.where(F.col("bucket").isin(hit))
         side = small(keys.select("node_id"), count)
