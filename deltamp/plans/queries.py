@@ -227,7 +227,7 @@ def seed_events_stage1(s: SparkSession, d: str) -> DataFrame:
 @query("grouped_events_stage1", O.both("cust_part", HELD, "gcn", 1, D, "min", _GROUPED + " SELECT dst, (i - 1)::INTEGER AS dim, dv AS del_val, av AS add_val FROM g"))
 def grouped_events_stage1(s: SparkSession, d: str) -> DataFrame:
     one = lambda c: F.coalesce(c, F.array_repeat(F.lit(None).cast("double"), D))
-    return _stage1(s, d).select("dst", F.posexplode(F.arrays_zip(one("del_vec").alias("x"), one("add_vec").alias("y"))).alias("dim", "p")).select("dst", F.col("dim").cast("int").alias("dim"), F.col("p").getField("0").alias("del_val"), F.col("p").getField("1").alias("add_val"))
+    return _stage1(s, d).select("dst", F.posexplode(F.arrays_zip(one("del_vec").alias("x"), one("add_vec").alias("y"))).alias("dim", "p")).select("dst", F.col("dim").cast("int").alias("dim"), F.col("p").getField("x").alias("del_val"), F.col("p").getField("y").alias("add_val"))
 
 
 @query("reset_mask_stage1", O.both("cust_part", HELD, "gcn", 1, D, "min", _GROUPED + " SELECT g.dst, (i - 1)::INTEGER AS dim, a.v[i] = dv AS reset FROM g JOIN ba1 a ON a.node_id = g.dst WHERE dv IS NOT NULL AND a.v IS NOT NULL"))
