@@ -8,7 +8,8 @@
    threshold is below ``MISS``. Survivors are verified on their full shingle sets.
 4. Not every pair of a bucket is tried: rounds compare each member with one hub of the bucket, and pairs
    that are connected by then need no test, as they share a component anyway. The last round tries
-   every pair of a bucket whose ends are still in different components, so no candidate is left out.
+   every pair of a bucket whose ends are still in different components, so no candidate is left out: small
+   components pair by pair, members of a component of ``LARGE`` rows in blocks, many against many at once.
 
 At similarity 0.8 two rows share no band with probability (1 - 0.8**6)**40, about 5e-6.
 
@@ -37,6 +38,8 @@ HASHES = ROWS * BANDS
 BATCH, MISS = 40, 1e-5
 #: Rounds against a hub before all open pairs are tried.
 HUB_ROUNDS = 3
+#: Rows of a component from which on its members are searched in blocks, and shingles of a block.
+LARGE, BLOCK_ITEMS = 32, 100_000
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -167,6 +170,57 @@ def verify(pairs: DataFrame, docs: DataFrame, words: int, percent: int, text: st
     return both.select("a", "b", common.alias("c"), (F.size("ia") + F.size("ib")).alias("t")).where(100 * F.col("c") >= percent * (F.col("t") - F.col("c"))).select("a", "b")
 
 
+def _common(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
+    """Sizes of the intersections of all sets on the left with all on the right, as products of membership matrices."""
+    flat = [np.concatenate(x) if x else np.empty(0, np.int64) for x in (left, right)]
+    both = np.intersect1d(*flat)
+    out = np.zeros((len(left), len(right)), np.float32)
+    where = [np.searchsorted(both, f) for f in flat]
+    hits = [(w < len(both)) & (both[np.minimum(w, len(both) - 1)] == f) if len(both) else np.zeros(len(f), bool) for w, f in zip(where, flat, strict=True)]
+    rows = [np.repeat(np.arange(len(x)), [len(s) for s in x])[h] for x, h in zip((left, right), hits, strict=True)]
+    cols = [w[h] for w, h in zip(where, hits, strict=True)]
+    for k in range(0, len(both), 8192):
+        parts = []
+        for r, c, n in zip(rows, cols, (len(left), len(right)), strict=True):
+            m = np.zeros((n, min(8192, len(both) - k)), np.float32)
+            now = (c >= k) & (c < k + 8192)
+            m[r[now], c[now] - k] = 1
+            parts.append(m)
+        out += parts[0] @ parts[1].T
+    return out
+
+
+def search_large(near: DataFrame, members: DataFrame, docs: DataFrame, words: int, percent: int, text: str, key: str) -> DataFrame:
+    """Links (a, b) of ``near`` (id, root: the row shares a bucket with the large component) with the components' ``members`` (root, id).
+
+    Both sides go in blocks of about ``BLOCK_ITEMS`` shingles; a task gets two blocks and gives only true links.
+    """
+    ids = cut(near.select("id").union(members.select("id")).distinct().withColumnRenamed("id", key))
+    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, ids.count()), words, text, key).dropDuplicates(["id"]))
+
+    def blocks(side: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
+        rows = side.join(full, "id")
+        number = cut(rows.groupBy("root").agg(F.ceil(F.sum(F.size("items")) / BLOCK_ITEMS).cast("int").alias("of")))  # a row for each large component
+        placed = rows.join(number, "root").withColumn(name, F.pmod(F.xxhash64("id"), F.col("of")).cast("int"))
+        return placed.groupBy("root", name).agg(F.collect_list(F.struct("id", "items")).alias(f"{name}s")), number
+
+    (left, _), (right, number) = blocks(near, "p"), blocks(members, "m")
+    spread = left.join(number, "root").withColumn("m", F.explode(F.sequence(F.lit(0), F.col("of") - 1))).drop("of")
+
+    def linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for k in range(batch.num_rows):
+                (xi, xs), (yi, ys) = (
+                    (c.field("id").to_numpy(), [v.values.to_numpy() for v in c.field("items")]) for c in (batch.column(0)[k].values, batch.column(1)[k].values)
+                )
+                size = np.array([len(s) for s in xs])[:, None] + np.array([len(s) for s in ys])[None, :]
+                c = _common(xs, ys)
+                i, j = np.nonzero((100 * c >= percent * (size - c)) & (c > 0) & (xi[:, None] != yi[None, :]))
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(xi[i], yi[j])), pa.array(np.maximum(xi[i], yi[j]))], ["a", "b"])
+
+    return spread.join(right, ["root", "m"]).select("ps", "ms").mapInArrow(linked, "a long, b long").distinct()
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: str = "text", key: str = "doc_id") -> DataFrame:
     """doc_id, n_shingles, component_id (smallest id reachable) and kept of every row."""
     known = cut(sketch(docs, words, text, key))
@@ -180,7 +234,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
     shared = rows.groupBy("band").agg(F.min(F.struct("id", "n")).alias("hub"), F.max("id").alias("last")).where("last <> hub.id").select("band", "hub")
     members = cut(rows.join(shared, "band"))
     near = lambda x, y: (F.least(x, y) * 100 >= F.greatest(x, y) * percent)  # noqa: E731  else the sizes alone rule it out
-    roots, tried, edges = None, None, None
+    roots, tried, edges, extra = None, None, None, None
     for turn in range(HUB_ROUNDS + 1):
         if turn == 0:
             pairs = members.where(F.col("id") != F.col("hub.id")).where(near(F.col("n"), F.col("hub.n"))).select(F.col("hub.id").alias("a"), F.col("id").alias("b")).distinct()
@@ -188,6 +242,18 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
             placed = members.select("band", "id", "n").join(roots.toDF("id", "root"), "id", "left").withColumn("root", F.coalesce("root", "id"))
             open_ = placed.groupBy("band").agg(F.min("root").alias("r1"), F.max("root").alias("r2"), F.min(F.struct(F.xxhash64("id", F.lit(turn)).alias("h"), "id", "n", "root")).alias("hub")).where("r1 <> r2").select("band", "hub")
             placed = cut(placed.join(open_, "band"))
+            if placed.isEmpty():
+                break
+            extra = None
+            if turn == HUB_ROUNDS:
+                large = cut(roots.groupBy("root").count().where(F.col("count") >= LARGE - 1).select("root").withColumn("large", F.lit(True)))
+                placed = cut(placed.join(large, "root", "left").withColumn("large", F.coalesce("large", F.lit(False))))
+                at = placed.where("large").select("band", F.col("root").alias("to")).distinct()
+                beside = cut(placed.join(at, "band").where((F.col("root") != F.col("to")) & (~F.col("large") | (F.col("root") > F.col("to")))).select("id", F.col("to").alias("root")).distinct())
+                if not beside.isEmpty():
+                    inside = roots.select("root", F.col("node").alias("id")).union(large.select("root", F.col("root").alias("id"))).join(beside.select("root").distinct(), "root", "left_semi")
+                    extra = cut(search_large(beside, inside, docs, words, percent, text, key))
+                placed = placed.where("NOT large")
             if turn < HUB_ROUNDS:
                 pairs = placed.where((F.col("root") != F.col("hub.root")) & near(F.col("n"), F.col("hub.n"))).select(F.least("id", "hub.id").alias("a"), F.greatest("id", "hub.id").alias("b"))
             else:
@@ -195,9 +261,13 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
                 pairs = x.join(y, (x.band == y.band) & (F.col("id_x") < F.col("id_y")) & (F.col("root_x") != F.col("root_y")) & near(F.col("n_x"), F.col("n_y"))).select(F.col("id_x").alias("a"), F.col("id_y").alias("b"))
             pairs = pairs.distinct().join(tried, ["a", "b"], "left_anti")
         pairs = cut(pairs)
-        if pairs.isEmpty():
+        found = None if pairs.isEmpty() else verify(cut(prune(pairs, signatures, percent)), docs, words, percent, text, key)
+        if turn == HUB_ROUNDS and extra is not None:
+            found = extra if found is None else found.union(extra)
+        if found is None and turn == 0:
             break
-        found = verify(cut(prune(pairs, signatures, percent)), docs, words, percent, text, key)
+        if found is None:
+            continue
         edges = cut(found if roots is None else found.union(roots.toDF("a", "b")))
         roots = components(edges)
         tried = pairs if tried is None else tried.union(pairs)
