@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textbuf
-from .common import cut, read, semi_by_id
+from .common import BROADCAST_BYTES, cut, read, release, semi_by_id
 from .components import components
 
 ROWS, BANDS = 6, 40
@@ -164,8 +164,13 @@ def prune(pairs: DataFrame, signatures: DataFrame, percent: int) -> DataFrame:
 def verify(pairs: DataFrame, docs: DataFrame, words: int, percent: int, text: str, key: str) -> DataFrame:
     """Pairs whose full sets reach the threshold."""
     ids = cut(pairs.select("a").union(pairs.select("b")).distinct().withColumnRenamed("a", key))
-    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, ids.count()), words, text, key).dropDuplicates(["id"]))
-    both = pairs.join(full.toDF("a", "ia"), "a").join(full.toDF("b", "ib"), "b")
+    many = ids.count()
+    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, many), words, text, key).dropDuplicates(["id"]))
+    hubs = full.join(F.broadcast(pairs.select(F.col("a").alias("id")).distinct()) if many * 8 <= BROADCAST_BYTES else pairs.select(F.col("a").alias("id")).distinct(), "id", "left_semi")
+    width = hubs.agg(F.coalesce(F.sum(F.size("items") * 8 + 32), F.lit(0))).first()[0]
+    # few hubs are sent whole, so that no pair carries a set through a shuffle
+    side = F.broadcast(hubs.toDF("a", "ia")) if width <= BROADCAST_BYTES else full.toDF("a", "ia")
+    both = pairs.join(full.toDF("b", "ib"), "b").join(side, "a")
     common = F.size(F.array_intersect("ia", "ib"))
     return both.select("a", "b", common.alias("c"), (F.size("ia") + F.size("ib")).alias("t")).where(100 * F.col("c") >= percent * (F.col("t") - F.col("c"))).select("a", "b")
 
@@ -270,6 +275,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
             continue
         edges = cut(found if roots is None else found.union(roots.toDF("a", "b")))
         roots = components(edges)
+        release(docs.sparkSession)
         tried = pairs if tried is None else tried.union(pairs)
     if roots is None:
         roots = copies.toDF("node", "root").limit(0)
