@@ -39,23 +39,35 @@ KNOWN = (
 )
 
 
-def canonical(text: Column) -> Column:
-    t = F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), _NOTICE, " ")
-    t = F.trim(F.regexp_replace(t, r"[^\p{L}\p{N}]+", " "))
+def _let(rows: DataFrame, name: str, value: Column) -> DataFrame:
+    """``rows`` with a column that is computed once: neither a filter nor a later use brings the expression along again."""
+    return rows.select("*", F.explode_outer(F.array(value)).alias(name))
+
+
+def canonical(rows: DataFrame, text: str, out: str) -> DataFrame:
+    """``rows`` with the canonical form of a text column. Notices and spellings are replaced only where a plain search finds one."""
+    rows = _let(rows, "_low", F.lower(F.coalesce(F.col(text), F.lit(""))))
+    low = F.col("_low")
+    noticed = F.contains(low, F.lit("copyright")) | F.contains(low, F.lit("\u00a9")) | F.contains(low, F.lit("(c)")) | F.contains(low, F.lit("all rights reserved"))
+    rows = _let(rows, "_clear", F.when(noticed, F.regexp_replace(low, _NOTICE, " ")).otherwise(low))
+    rows = _let(rows, "_plain", F.trim(F.regexp_replace("_clear", r"[^\p{L}\p{N}]+", " ")))
+    spelled = F.col("_plain")
     for a, b in SPELLINGS:
-        t = F.regexp_replace(t, rf"\b{a}\b", b)
-    return t
+        spelled = F.regexp_replace(spelled, rf"\b{a}\b", b)
+    some = r"\b(?:" + "|".join(a for a, _ in SPELLINGS) + r")\b"
+    return _let(rows, out, F.when(F.col("_plain").rlike(some), spelled).otherwise(F.col("_plain"))).drop("_low", "_clear", "_plain")
 
 
-def digest(text: Column) -> Column:
-    form = canonical(text)
-    return F.when(form.rlike(r"\p{L}"), F.sha2(form, 256))
+def with_digest(rows: DataFrame, text: str) -> DataFrame:
+    """``rows`` with the digest of the canonical form instead of the text; null if the form has no letter."""
+    rows = canonical(rows, text, "_form")
+    return _let(rows, "digest", F.when(F.col("_form").rlike(r"\p{L}"), F.sha2("_form", 256))).drop(text, "_form")
 
 
 def known_digests(spark: SparkSession, known: list[tuple[str, str]] | tuple = KNOWN) -> DataFrame:
     """digest and licence of known texts."""
     rows = spark.createDataFrame(list(known), "licence string, text string")
-    return rows.select(digest(F.col("text")).alias("digest"), "licence").where("digest IS NOT NULL").groupBy("digest").agg(F.min("licence").alias("licence"))
+    return with_digest(rows, "text").where("digest IS NOT NULL").groupBy("digest").agg(F.min("licence").alias("licence"))
 
 
 def scan(docs: DataFrame, known: DataFrame | None = None, text: str = "text", key: str = "doc_id") -> DataFrame:
@@ -64,9 +76,9 @@ def scan(docs: DataFrame, known: DataFrame | None = None, text: str = "text", ke
     rows = known.agg(F.count("*"), F.max(F.length("licence"))).first()
     side = F.broadcast(known) if rows[0] * (64 + (rows[1] or 0)) * 2 <= BROADCAST_BYTES else known
     base = docs.select(F.col(key).alias("doc_id"), F.xxhash64(text).alias("h"), F.col(text).alias("t"))
-    lines = base.select("doc_id", "h", F.explode(F.array_distinct(F.split(F.coalesce("t", F.lit("")), r"\r?\n"))).alias("l")).select("doc_id", "h", digest(F.col("l")).alias("digest")).where("digest IS NOT NULL")
-    lines = lines.join(side, "digest").groupBy("doc_id", "h").agg(F.sort_array(F.collect_set("licence")).alias("line_licences"))
-    whole = base.select("doc_id", "h", digest(F.col("t")).alias("digest")).join(side, "digest", "left").select("doc_id", "h", F.col("licence").alias("text_licence"))
+    lines = base.select("doc_id", "h", F.explode(F.array_distinct(F.split(F.coalesce("t", F.lit("")), r"\r?\n"))).alias("l"))
+    lines = with_digest(lines, "l").where("digest IS NOT NULL").join(side, "digest").groupBy("doc_id", "h").agg(F.sort_array(F.collect_set("licence")).alias("line_licences"))
+    whole = with_digest(base, "t").join(side, "digest", "left").select("doc_id", "h", F.col("licence").alias("text_licence"))
     both = whole.join(lines.toDF("_k", "_h", "line_licences"), (F.col("h") == F.col("_h")) & F.col("doc_id").eqNullSafe(F.col("_k")), "left")
     return both.select("doc_id", "text_licence", F.coalesce("line_licences", F.array().cast("array<string>")).alias("line_licences"))
 
