@@ -10,7 +10,8 @@ common layouts with known labels: menus, headers, footers, sidebars, notices, ad
 around (and partly inside) articles in several kinds of container, with invented words.
 
 Defined cases: a null or empty page has an empty text; scripts, styles, markup comments and the head never
-are blocks; unclosed tags, comments and quotes end at the latest with the page; a page without blocks has
+are blocks; the head ends at its end tag or at the first text or start tag that may not stand in it;
+unclosed tags, comments and quotes end at the latest with the page; a page without blocks has
 an empty text; repeated rows are treated alike; other columns are kept, those called like the results are replaced.
 """
 
@@ -38,6 +39,9 @@ VOID = frozenset("area base br col embed hr img input link meta param source tra
 HIDDEN = frozenset("script style noscript template iframe object svg math canvas title textarea select datalist audio video".split())
 ENDS = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}), "tr": ({"tr", "td", "th"}, {"table"}), "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "option": ({"option"}, {"select"})}
 
+#: Elements that leave the head open; any other start tag, and text, ends it even without an end tag.
+HEAD = frozenset("html head title meta link base basefont bgsound script style noscript template".split())
+
 _TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)([^>\"']*(?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>")
 _LOOSE = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)([^>]*)>")
 _NAMED = re.compile(r"""(?:^|\s)(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.IGNORECASE)
@@ -95,6 +99,8 @@ class Scanner:
         def say(text: str) -> None:
             nonlocal linked, total
             if text:
+                if opened["head"] > 0 and not text.isspace():
+                    close("head")
                 held.append(html.unescape(text) if "&" in text else text)
                 total += len(text)
                 linked += len(text) if opened["a"] else 0
@@ -121,6 +127,8 @@ class Scanner:
                 at = lt + 1
                 continue
             at, tag, end = m.end(), m[2].lower(), m[1] == "/"
+            if opened["head"] > 0 and not end and tag not in HEAD:
+                close("head")
             if tag in HIDDEN:
                 if not end and not m[3].endswith("/"):
                     stop = re.compile(rf"</{tag}\s*>", re.IGNORECASE).search(page, at)
@@ -139,8 +147,6 @@ class Scanner:
                 continue
             if tag not in INLINE and opened["p"] > 0:
                 close("p")
-            if tag == "body" and opened["head"] > 0:
-                close("head")
             if tag in ENDS:
                 ended, limit = ENDS[tag]
                 k = len(stack) - 1

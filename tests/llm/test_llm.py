@@ -237,6 +237,21 @@ def test_main_text(spark):
     assert {r.text for r in main_text.extract(odd, model).collect()} <= {"", "<"}
 
 
+@pytest.mark.parametrize("start", ["<html><head><title>T</title>", "<head><meta charset=x><link href=y><style>p {}</style>\n", "<head><title>T</title><br>", "<head><title>T</title><svg><text>no</text></svg>", "<html><head><title>T</title></head><body>", "<title>T</title><body><head>"])
+def test_a_head_may_lack_its_end(start):
+    """Every block of the page is found, with and without </head> and <body>; the head itself gives none."""
+    found = [b.text for b in main_text.Scanner().blocks(f"{start}<p>One <b>two</b>.<div>Three</div>")]
+    assert found == ["One two.", "Three"]
+    assert [b.text for b in main_text.Scanner().blocks(f"{start}plain text<p>next")] == ["plain text", "next"]
+
+
+def test_page_without_head_end_and_body_keeps_its_text(spark):
+    page = "<div class='menu'><a href=/>Home</a></div><article>" + "<p>A sentence of some length that stands in the article, with a full stop.</p>" * 6 + "</article>"
+    pages = spark.createDataFrame([(1, f"<html><head><title>T</title></head><body>{page}</body></html>"), (2, f"<html><head><title>T</title>{page}")], "page_id long, html string")
+    full, short = (r.text for r in main_text.extract(pages).orderBy("page_id").collect())
+    assert full == short and short.count("A sentence") == 6
+
+
 def test_viterbi_is_the_best_of_all_labelings():
     r = np.random.default_rng(5)
     for n in (1, 2, 6):
