@@ -2,7 +2,8 @@
 
 quality: a document that the quality classifier rejects goes. language: one of unknown language, or with
 a score below ``LANGUAGE_SCORE``, goes. near_duplicates: of each group of near copies (five-word shingles,
-similarity 0.8 or more) the document of the smallest id stays. decontamination: a document that holds a
+similarity 0.8 or more) the document of the smallest id stays; rows that share an id or have none are documents
+of their own, and only near copies among them go. decontamination: a document that holds a
 window of ten words of a benchmark item goes. packing: what is left is cut and packed into sequences.
 
 All stages but the last return the columns of documents. The classifiers are fitted on the whole input
@@ -38,11 +39,14 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    groups = near_duplicates.near_duplicates(docs, words=5, percent=80)
-    gone = cut(groups.where("NOT kept").select(F.col("doc_id").alias("_gone")).distinct())
+    if near_duplicates.unique(docs):
+        key, rows, groups = "doc_id", docs, near_duplicates.near_duplicates(docs, words=5, percent=80)
+    else:
+        key, rows = "_row", near_duplicates.numbered(docs)
+        groups = near_duplicates.by_row(rows, words=5, percent=80)
+    gone = cut(groups.where("NOT kept").select(F.col(key).alias("_gone")))
     few = gone.count() * 16 <= (64 << 20)
-    kept = docs.join(F.broadcast(gone) if few else gone, F.col("doc_id") == F.col("_gone"), "left_anti")
-    return kept.dropDuplicates(["doc_id"]) if docs.groupBy("doc_id").count().where("count > 1").limit(1).count() else kept
+    return rows.join(F.broadcast(gone) if few else gone, F.col(key) == F.col("_gone"), "left_anti").select(*docs.columns)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -14,8 +14,10 @@
 At similarity 0.8 two rows share no band with probability (1 - 0.8**6)**40, about 5e-6.
 
 Defined cases: words are runs of other than ASCII white space, A-Z in lower case; a text with fewer words than a shingle is one
-shingle; a null, empty or blank text has none and is linked with nothing; several rows of one id count as
-one node; an empty table gives no rows; other columns are not carried on.
+shingle; a null, empty or blank text has none and is linked with nothing; an empty table gives no rows; other columns
+are not carried on. Rows of one id, and rows without an id, are documents of their own, which only a link joins: they
+are compared under numbers, the component has the smallest id of its rows (null if none has one), and of each
+component one row is kept, that of the smallest id, then of the smallest hash of the text.
 """
 
 from __future__ import annotations
@@ -165,7 +167,7 @@ def verify(pairs: DataFrame, docs: DataFrame, words: int, percent: int, text: st
     """Pairs whose full sets reach the threshold."""
     ids = cut(pairs.select("a").union(pairs.select("b")).distinct().withColumnRenamed("a", key))
     many = ids.count()
-    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, many), words, text, key).dropDuplicates(["id"]))
+    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, many), words, text, key))
     hubs = full.join(F.broadcast(pairs.select(F.col("a").alias("id")).distinct()) if many * 8 <= BROADCAST_BYTES else pairs.select(F.col("a").alias("id")).distinct(), "id", "left_semi")
     width = hubs.agg(F.coalesce(F.sum(F.size("items") * 8 + 32), F.lit(0))).first()[0]
     # few hubs are sent whole, so that no pair carries a set through a shuffle
@@ -201,7 +203,7 @@ def search_large(near: DataFrame, members: DataFrame, docs: DataFrame, words: in
     Both sides go in blocks of about ``BLOCK_ITEMS`` shingles; a task gets two blocks and gives only true links.
     """
     ids = cut(near.select("id").union(members.select("id")).distinct().withColumnRenamed("id", key))
-    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, ids.count()), words, text, key).dropDuplicates(["id"]))
+    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, ids.count()), words, text, key))
 
     def blocks(side: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
         rows = side.join(full, "id")
@@ -226,15 +228,45 @@ def search_large(near: DataFrame, members: DataFrame, docs: DataFrame, words: in
     return spread.join(right, ["root", "m"]).select("ps", "ms").mapInArrow(linked, "a long, b long").distinct()
 
 
+def unique(docs: DataFrame, key: str = "doc_id") -> bool:
+    """Whether every row has an id of its own."""
+    return docs.groupBy(F.col(key).alias("_id")).agg(F.count("*").alias("_n")).where("_n > 1 OR _id IS NULL").isEmpty()
+
+
+def numbered(docs: DataFrame) -> DataFrame:
+    """``docs`` with a number for each row in ``_row``, kept, so that it stays the same."""
+    return cut(docs.withColumn("_row", F.monotonically_increasing_id()))
+
+
+def by_row(rows: DataFrame, words: int = 5, percent: int = 80, text: str = "text", key: str = "doc_id") -> DataFrame:
+    """_row, doc_id, n_shingles, component_id and kept of every row of ``numbered`` rows, whatever their ids are."""
+    found = cut(_grouped(rows, words, percent, text, "_row").select(F.col("doc_id").alias("_row"), "n_shingles", "component_id"))
+    named = rows.select("_row", F.col(key).alias("doc_id"), F.xxhash64(text).alias("_h"))
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id"), F.col("_h"), F.col("_row"))).alias("first")
+    shared = found.groupBy("component_id").agg(F.count("*").alias("rows")).where("rows > 1").select("component_id")
+    best = cut(found.join(shared, "component_id").join(named, "_row").groupBy("component_id").agg(first))
+    side = F.broadcast(best) if best.count() * 64 <= BROADCAST_BYTES else best
+    placed = found.join(named.drop("_h"), "_row").join(side, "component_id", "left")
+    lone = F.col("first").isNull()
+    return placed.select("_row", "doc_id", "n_shingles", F.when(lone, F.col("doc_id")).otherwise(F.col("first.doc_id")).alias("component_id"), (lone | (F.col("first._row") == F.col("_row"))).alias("kept"))
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: str = "text", key: str = "doc_id") -> DataFrame:
     """doc_id, n_shingles, component_id (smallest id reachable) and kept of every row."""
+    if unique(docs, key):
+        return _grouped(docs, words, percent, text, key)
+    return by_row(numbered(docs.select(key, text)), words, percent, text, key).drop("_row")
+
+
+def _grouped(docs: DataFrame, words: int, percent: int, text: str, key: str) -> DataFrame:
+    """The result for rows whose ids are not null and all different."""
     known = cut(sketch(docs, words, text, key))
     groups = known.where("n > 0").groupBy("d1", "d2", "n").agg(F.min("id").alias("first"), F.count("*").alias("rows")).where("rows > 1").drop("rows")
     copies = cut(known.select("id", "d1", "d2", "n").join(groups, ["d1", "d2", "n"]).where("id <> first").select("id", "first").distinct())
     many = copies.count()
     side = F.broadcast(copies.select("id")) if many * 16 <= (64 << 20) else copies.select("id")
     alone = known.where("n > 0").join(side, "id", "left_anti")
-    signatures = alone.select("id", "sig").dropDuplicates(["id"])
+    signatures = alone.select("id", "sig")
     rows = alone.select("id", "n", F.explode("bands").alias("band"))
     shared = rows.groupBy("band").agg(F.min(F.struct("id", "n")).alias("hub"), F.max("id").alias("last")).where("last <> hub.id").select("band", "hub")
     members = cut(rows.join(shared, "band"))

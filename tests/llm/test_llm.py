@@ -175,6 +175,35 @@ def test_near_duplicates(spark, monkeypatch, words, large, rounds):
     assert near_duplicates.near_duplicates(_docs(spark, ["a"]).limit(0)).count() == 0
 
 
+def test_rows_of_one_id_and_of_none_are_documents_of_their_own(spark):
+    """Repeated and null ids in the operator and in the pipeline's stage, against brute force over the rows."""
+    import corpus_pipeline as p
+
+    r = random.Random(11)
+    text = lambda n: " ".join(f"w{r.randint(0, 10**6)}" for _ in range(n))
+    a, b, c = text(40), text(40), text(40)
+    rows = [(1, a), (1, b), (1, c), (None, text(30)), (None, text(30)), (None, b + " x"), (7, a + " y"), (7, text(20)), (9, c), (9, c), (None, "q r s t u v"), (None, "q r s t u v"), (3, None), (3, "")]
+    rows += [(5, text(25)) for _ in range(12)]
+    docs = spark.createDataFrame([(i, t, "l", "s", k) for k, (i, t) in enumerate(rows)], DOCS)
+    truth = _brute([t for _, t in rows], 5, 80)
+    members = {}
+    for k, (_, root) in enumerate(truth):
+        members.setdefault(root, []).append(k)
+    want = []
+    for k, (n, root) in enumerate(truth):
+        ids = [rows[m][0] for m in members[root] if rows[m][0] is not None]
+        want.append((rows[k][0], n, min(ids) if ids else None))
+    got = near_duplicates.near_duplicates(docs, 5, 80).collect()
+    plain = lambda x: sorted(map(str, x))
+    assert plain((g.doc_id, g.n_shingles, g.component_id) for g in got) == plain(want)
+    assert sum(g.kept for g in got) == len(members)
+    left = p.near_dedup(spark, docs, SF).collect()
+    assert len(left) == len(members) and {truth[x.n_chars][1] for x in left} == set(members)
+    for x in left:  # the row of the smallest id stays
+        ids = [rows[m][0] for m in members[truth[x.n_chars][1]] if rows[m][0] is not None]
+        assert x.doc_id == (min(ids) if ids else None)
+
+
 def test_block_search_finds_the_links(spark):
     docs = _docs(spark, ["a b c d e f", "a b c d e f g", "q r s t", "a b c d e"])
     near = spark.createDataFrame([(3, 0), (2, 0)], "id long, root long")
