@@ -1,7 +1,7 @@
 """A training corpus from raw documents: five stages, each on all that the one before kept.
 
-quality: a document that the quality classifier rejects goes. language: one of unknown language, or with
-a score below ``LANGUAGE_SCORE``, goes. near_duplicates: of each group of near copies (five-word shingles,
+quality: a document that the quality classifier rejects goes. language: one without a letter, or of
+whose distinct 3-grams the found language knows less than ``COVER``, goes. near_duplicates: of each group of near copies (five-word shingles,
 similarity 0.8 or more) the document of the smallest id stays; rows that share an id or have none are documents
 of their own, and only near copies among them go. decontamination: a document that holds a
 window of ten words of a benchmark item goes. packing: what is left is cut and packed into sequences.
@@ -20,8 +20,9 @@ from deltamp.llm import decontaminate, language, near_duplicates, packing
 from deltamp.llm import quality as quality_model
 from deltamp.llm.common import cut, read
 
-#: Best of the languages' scores below which a text counts as of no known language.
-LANGUAGE_SCORE = 0.3
+#: Share of a text's 3-grams that its language must know; other languages don't matter. On held-out rows of sf0.01 with four
+#: learned languages 99.5% reach 0.81; of texts in a language left out the median is 0.28 to 0.68, of random words 0.10.
+COVER = 0.8
 
 #: SQL can't express the fitted classifiers or the tokenizer; the tests hold each stage against brute force.
 ORACLE_SQL = None
@@ -34,8 +35,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = language.fit(docs, F.lit(True))
-    scored = language.score(docs, model, label_out="_language", score_out="_sure")
-    return scored.where((F.col("_language") != language.UNKNOWN) & (F.col("_sure") >= LANGUAGE_SCORE)).select(*docs.columns)
+    scored = language.score(docs, model, label_out="_language", score_out="_sure", cover_out="_cover")
+    return scored.where((F.col("_language") != language.UNKNOWN) & (F.col("_cover") >= COVER)).select(*docs.columns)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -12,7 +12,8 @@ of the latter close a text.
 
 Defined cases: a null text or one without a letter is ``und`` with score 0; with no training rows
 every text is ``und``; repeated rows are scored alike; ties go to the smaller language name; other
-columns are kept, but columns called like the two results are replaced.
+columns are kept, but columns called like the results are replaced. A score only ranks the learned languages; the
+cover, an optional result, tells whether a text is of the found language at all.
 """
 
 from __future__ import annotations
@@ -46,6 +47,7 @@ class Model:
     letters: list[int]
     weights: np.ndarray  # (grams, languages)
     bias: np.ndarray
+    known: np.ndarray  # (3-grams, languages): grams that the language's training texts hold often enough
 
 
 @lru_cache(maxsize=2)
@@ -101,9 +103,10 @@ def _sums(values: np.ndarray, rows: np.ndarray, n: int) -> np.ndarray:
     return np.stack([np.bincount(rows, values[:, k], n) for k in range(values.shape[1])], 1) if values.shape[1] else np.zeros((n, 0))
 
 
-def predict(column: pa.Array, model: Model) -> tuple[list[str], np.ndarray]:
+def predict(column: pa.Array, model: Model) -> tuple[list[str], np.ndarray, np.ndarray]:
+    """Language, score and cover: the share of a text's distinct 3-grams with a letter that the language knows, whatever the other languages."""
     raw, at, _ = textbuf.utf8(column)
-    names, scores = [], []
+    names, scores, covers = [], [], []
     for i, j in textbuf.groups(at):
         grams, ends, has = presence(raw[at[i] : at[j]], at[i : j + 1] - at[i], model.letters)
         index, rows = blended(grams, ends)
@@ -111,12 +114,28 @@ def predict(column: pa.Array, model: Model) -> tuple[list[str], np.ndarray]:
         if not model.languages:
             names += [UNKNOWN] * (j - i)
             scores.append(np.zeros(j - i))
+            covers.append(np.zeros(j - i))
             continue
         p = np.exp(4 * (f - f.max(1, keepdims=True)))
         best = f.argmax(1)
         names += [model.languages[b] if ok else UNKNOWN for b, ok in zip(best, has, strict=True)]
         scores.append(np.where(has, (p / p.sum(1, keepdims=True)).max(1), 0.0))
-    return names, np.concatenate(scores) if scores else np.empty(0)
+        row, lettered = np.repeat(np.arange(j - i), np.diff(ends)), grams > 0
+        hit = np.bincount(row, lettered & model.known[grams, best[row]], j - i)
+        covers.append(np.where(has, hit / np.maximum(1, np.bincount(row, lettered, j - i)), 0.0))
+    return names, *(np.concatenate(x) if x else np.empty(0) for x in (scores, covers))
+
+
+def _known(data: pd.DataFrame, languages: list[str]) -> np.ndarray:
+    """A gram is known to a language if one text in 200 has it; one with a letter outside the alphabet, if one text in 10 has it."""
+    codes = np.arange(_V3)
+    rare = (codes >> 2 * _BITS == 1) | (codes >> _BITS & ALPHABET - 1 == 1) | (codes & ALPHABET - 1 == 1)
+    out = np.zeros((_V3, len(languages)), bool)
+    for k, name in enumerate(languages):
+        mine = data["grams"][data["label"] == name]
+        n = np.bincount(np.concatenate([np.asarray(g, np.int64) for g in mine]), minlength=_V3)
+        out[:, k] = (n > 0) & (n >= len(mine) * np.where(rare, 0.1, 0.005))
+    return out
 
 
 def fit(docs: DataFrame, where, label: str = "lang", text: str = "text", key: str = "doc_id") -> Model:
@@ -124,7 +143,7 @@ def fit(docs: DataFrame, where, label: str = "lang", text: str = "text", key: st
     rows = docs.where(where & F.col(label).isNotNull() & F.col(text).isNotNull())
     counts = {r[0]: r[1] for r in rows.groupBy(label).count().orderBy(F.desc("count"), label).limit(LANGUAGES).collect()}
     if not counts:
-        return Model([], [], np.zeros((_V3 + _V2 + ALPHABET, 0), np.float32), np.zeros(0))
+        return Model([], [], np.zeros((_V3 + _V2 + ALPHABET, 0), np.float32), np.zeros(0), np.zeros((_V3, 0), bool))
     draw = F.pmod(F.xxhash64(F.col(key), F.lit(17)), F.lit(1 << 20))
     wanted = F.lit(False)
     for name, n in counts.items():
@@ -186,21 +205,21 @@ def _solve(data: pd.DataFrame, languages: list[str], alphabet: list[int], ridge:
     folded = marks[:-1] @ ((root @ w) / size[chosen][:, None])
     weights = np.zeros((_V3 + _V2 + ALPHABET, len(languages)), np.float32)
     weights[vocabulary] = folded
-    return Model(languages, alphabet, weights, bias - mean @ w)
+    return Model(languages, alphabet, weights, bias - mean @ w, _known(data, languages))
 
 
-def score(docs: DataFrame, model: Model, text: str = "text", label_out: str = "lang_pred", score_out: str = "score") -> DataFrame:
-    """``docs`` with the predicted language and its score; only the text goes to the Python workers."""
+def score(docs: DataFrame, model: Model, text: str = "text", label_out: str = "lang_pred", score_out: str = "score", cover_out: str | None = None) -> DataFrame:
+    """``docs`` with the predicted language, its score and, if named, the cover; only the text goes to the Python workers."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
-    @F.arrow_udf("struct<a: string, b: double>")
+    @F.arrow_udf("struct<a: string, b: double, c: double>")
     def predicted(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for part in parts:
-            names, scores = predict(part, shared.value)
-            yield pa.StructArray.from_arrays([pa.array(names, pa.string()), pa.array(scores, pa.float64())], ["a", "b"])
+            names, scores, covers = predict(part, shared.value)
+            yield pa.StructArray.from_arrays([pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(covers, pa.float64())], ["a", "b", "c"])
 
-    kept = [c for c in docs.columns if c not in (label_out, score_out)]
-    return docs.select(*(F.col(f"`{c}`") for c in kept), predicted(F.col(f"`{text}`")).alias("_p")).select(*(F.col(f"`{c}`") for c in kept), F.col("_p.a").alias(label_out), F.col("_p.b").alias(score_out))
+    kept = [c for c in docs.columns if c not in (label_out, score_out, cover_out)]
+    return docs.select(*(F.col(f"`{c}`") for c in kept), predicted(F.col(f"`{text}`")).alias("_p")).select(*(F.col(f"`{c}`") for c in kept), F.col("_p.a").alias(label_out), F.col("_p.b").alias(score_out), *([F.col("_p.c").alias(cover_out)] if cover_out else []))
 
 
 def op1_language(spark: SparkSession, sf_dir: str) -> DataFrame:

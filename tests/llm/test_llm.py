@@ -56,6 +56,19 @@ def test_language(spark, docs):
     assert language.score(docs.limit(0), model).count() == 0
 
 
+@pytest.mark.parametrize("learned", [["en"], ["de", "en", "es"]])
+def test_language_stage_rejects_what_was_not_learned(spark, docs, learned):
+    """Texts in a language left out and of random words go, labelled texts stay, whatever the number of languages."""
+    import corpus_pipeline as p
+
+    r = random.Random(5)
+    noise = [(10**9 + i, " ".join("".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(r.randint(3, 9))) for _ in range(r.choice((5, 50, 300)))), None, "noise", 0) for i in range(60)]
+    texts = docs.where("text IS NOT NULL AND lang IS NOT NULL").select("doc_id", "text", F.when(F.col("lang").isin(learned), F.col("lang")).alias("lang"), F.when(F.col("lang").isin(learned), "learned").when(F.col("lang") == "fr", "left out").alias("source"), "n_chars").where("source IS NOT NULL")
+    all_ = texts.unionByName(spark.createDataFrame(noise, DOCS)).cache()
+    before, after = ({x.source: x["count"] for x in f.groupBy("source").count().collect()} for f in (all_, p.language_id(spark, all_, SF)))
+    assert after["learned"] >= 0.98 * before["learned"] and after.get("left out", 0) <= 0.05 * before["left out"] and "noise" not in after
+
+
 def test_language_kernel_is_the_presence_kernel():
     texts = ["abab", "abc", "xyz", ""]
     raw, at, _ = pa_text = __import__("deltamp.llm.textbuf", fromlist=["x"]).utf8(pa.array(texts))
