@@ -1,17 +1,20 @@
 """Near-duplicate groups: MinHash bands, sequential Bayesian pruning, exact verification.
 
-1. A text becomes its set of hashed word shingles. Equal sets (a digest of 128 bits and the size) are
-   collapsed to the row of the smallest id before anything else, so copies never meet in pairs.
+1. A text becomes its set of hashed word shingles. Texts whose whole word sequences are equal (so that their sets are)
+   are collapsed to the row of the smallest id, by a cryptographic digest of the words, so copies never meet in pairs.
 2. The rest get ``HASHES`` min-hashes in ``BANDS`` bands. Rows that share a band are candidates.
 3. A candidate pair's one-byte signatures are compared batch by batch. With m of n equal, the similarity
    has a Beta posterior; the pair is dropped as soon as the posterior probability of reaching the
    threshold is below ``MISS``. Survivors are verified on their full shingle sets.
-4. Not every pair of a bucket is tried: rounds compare each member with one hub of the bucket, and pairs
-   that are connected by then need no test, as they share a component anyway. The last round tries
-   every pair of a bucket whose ends are still in different components, so no candidate is left out: small
-   components pair by pair, members of a component of ``LARGE`` rows in blocks, many against many at once.
+4. Rounds against hubs come first: each row tries the hub that it shares most buckets with, one pair a row. They go on
+   while they link a tenth of what they try. Linked rows need no test among themselves any more.
+5. All that is left is searched bucket by bucket: the members of a bucket go in blocks, the test runs on all pairs of two
+   blocks at once and gives a spanning forest of the pairs that survive, so no table ever holds a pair for each
+   two members. The members of the largest linked component of a bucket are not compared with each other.
+6. Rows that the forest connects get their full sets, in blocks again, and give the links among them, a forest as well.
 
-At similarity 0.8 two rows share no band with probability (1 - 0.8**6)**40, about 5e-6.
+At similarity 0.8 two rows share no band with probability (1 - 0.8**6)**40, about 5e-6, and a pair is pruned
+wrongly with less than ``len(least_equal(80)) * MISS`` (``wrongly_pruned`` gives the exact figure).
 
 Defined cases: words are runs of other than ASCII white space, A-Z in lower case; a text with fewer words than a shingle is one
 shingle; a null, empty or blank text has none and is linked with nothing; an empty table gives no rows; other columns
@@ -25,6 +28,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 from functools import lru_cache
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
@@ -32,16 +36,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textbuf
-from .common import BROADCAST_BYTES, cut, read, release, semi_by_id
+from .common import BROADCAST_BYTES, Scratch, cut, dealt, hot_keys, read, semi_by_id
 from .components import components
 
 ROWS, BANDS = 6, 40
 HASHES = ROWS * BANDS
-BATCH, MISS = 40, 1e-5
-#: Rounds against a hub before all open pairs are tried.
-HUB_ROUNDS = 3
-#: Rows of a component from which on its members are searched in blocks, and shingles of a block.
-LARGE, BLOCK_ITEMS = 32, 100_000
+BATCH, MISS = 40, 1e-6
+#: Rows of a block when signatures are compared, shingles of a block when sets are, pairs that are tested at once.
+BLOCK_ROWS, BLOCK_ITEMS, PAIRS = 512, 100_000, 1 << 18
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
@@ -90,26 +92,42 @@ def minima(s: np.ndarray) -> np.ndarray:
     return low
 
 
+def plain_words(raw: np.ndarray, at: np.ndarray) -> list[bytes]:
+    """A digest of each text's words in lower case with one blank between; two texts share it only if their words are the same."""
+    low = _LOWER[raw]
+    inside = ~_BLANK[low]
+    follows = np.zeros(len(low), bool)
+    follows[:-1] = inside[1:]
+    keep = inside | (~inside & follows)  # of a run of blanks the last one, if a word comes after it in the text
+    last = at[1:][at[1:] > at[:-1]] - 1
+    keep[last] &= inside[last]
+    low[~inside] = 0x20
+    ends = np.concatenate(([0], np.cumsum(keep)))[at]
+    flat = low[keep].tobytes()
+    return [blake2b(flat[a:b].lstrip(b" "), digest_size=16).digest() for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
+
+
 def sketch(docs: DataFrame, words: int, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """id, n, digest (d1, d2), band hashes and one-byte signature of each row."""
+    """id, n, digest of the words, band hashes and one-byte signature of each row."""
 
     def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         _, _, inner, outer = _permutations()
         for batch in batches:
             raw, at, _ = textbuf.utf8(batch.column(1))
             for i, j in textbuf.groups(at):
-                sets = shingles(raw[at[i] : at[j]], at[i : j + 1] - at[i], words)
+                part, ends = raw[at[i] : at[j]], at[i : j + 1] - at[i]
+                sets = shingles(part, ends, words)
                 low = np.stack([minima(s) for s in sets])
                 n = np.array([len(s) for s in sets])
-                digest = np.array([[s.sum(dtype=np.uint64), np.bitwise_xor.reduce(textbuf.mix(s)) if len(s) else 0] for s in sets], np.uint64).view(np.int64)
                 bands = textbuf.mix((low.reshape(-1, BANDS, ROWS).astype(np.uint64) * inner).sum(2, dtype=np.uint64) + outer).view(np.int64)
                 some = n > 0
-                ends = np.concatenate(([0], np.cumsum(some * BANDS)))
+                stops = np.concatenate(([0], np.cumsum(some * BANDS)))
                 signature = pa.FixedSizeBinaryArray.from_buffers(pa.binary(HASHES), j - i, [None, pa.py_buffer((low & 255).astype(np.uint8).tobytes())]).cast(pa.binary())
-                yield pa.RecordBatch.from_arrays([batch.column(0)[i:j], pa.array(n, pa.int64()), pa.array(digest[:, 0]), pa.array(digest[:, 1]), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(bands[some].ravel())), signature], ["id", "n", "d1", "d2", "bands", "sig"])
+                columns = [batch.column(0)[i:j], pa.array(n, pa.int64()), pa.array(plain_words(part, ends), pa.binary()), pa.ListArray.from_arrays(pa.array(stops, pa.int32()), pa.array(bands[some].ravel())), signature]
+                yield pa.RecordBatch.from_arrays(columns, ["id", "n", "same", "bands", "sig"])
 
     kind = docs.schema[key].dataType.simpleString()
-    return docs.select(key, text).mapInArrow(sketched, f"id {kind}, n long, d1 long, d2 long, bands array<long>, sig binary")
+    return docs.select(key, text).mapInArrow(sketched, f"id {kind}, n long, same binary, bands array<long>, sig binary")
 
 
 def sets(docs: DataFrame, words: int, text: str = "text", key: str = "doc_id") -> DataFrame:
@@ -143,89 +161,176 @@ def least_equal(percent: int) -> tuple[int, ...]:
     return tuple(out)
 
 
-def prune(pairs: DataFrame, signatures: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) that the sequential test on signatures doesn't drop."""
-    bounds = least_equal(percent)
+def wrongly_pruned(similarity: float, percent: int) -> float:
+    """Probability that the test drops a pair of this similarity: the equal bytes are followed from batch to batch."""
+    p = similarity + (1 - similarity) / 256
+    alive, gone = {0: 1.0}, 0.0
+    for least in least_equal(percent):
+        after: dict[int, float] = {}
+        for m, w in alive.items():
+            for x in range(BATCH + 1):
+                after[m + x] = after.get(m + x, 0.0) + w * math.comb(BATCH, x) * p**x * (1 - p) ** (BATCH - x)
+        gone += sum(w for m, w in after.items() if m < least)
+        alive = {m: w for m, w in after.items() if m >= least}
+    return gone
+
+
+def survivors(left: np.ndarray, right: np.ndarray, i: np.ndarray, j: np.ndarray, percent: int) -> np.ndarray:
+    """Which of the pairs (i of ``left``, j of ``right``) of signatures the sequential test doesn't drop."""
+    alive, equal = np.arange(len(i)), np.zeros(len(i), int)
+    for k, least in enumerate(least_equal(percent)):
+        part = slice(k * BATCH, (k + 1) * BATCH)
+        equal = equal + (left[i[alive], part] == right[j[alive], part]).sum(1)
+        alive, equal = alive[equal >= least], equal[equal >= least]
+    return alive
+
+
+def _near(x: str, y: str, percent: int):
+    """The sizes alone don't rule the pair out."""
+    return F.least(x, y) * 100 >= F.greatest(x, y) * percent
+
+
+def verify(pairs: DataFrame, full: DataFrame, percent: int, scratch: Scratch) -> DataFrame:
+    """Pairs (a, b), one for each b, that pass the test on signatures and reach the threshold on full sets; a hub may have any number."""
+    pairs = scratch.keep(pairs)
+    kind, total = pairs.schema["a"].dataType.simpleString(), pairs.count()
+    hot = hot_keys(pairs.groupBy("a").agg(F.count("*").alias("rows")), "a", total)
 
     def kept(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             left, right = (np.frombuffer(b"".join(batch.column(k).to_pylist()), np.uint8).reshape(-1, HASHES) for k in (2, 3))
-            alive, equal = np.arange(len(left)), np.zeros(len(left), int)
-            for k, least in enumerate(bounds):
-                part = slice(k * BATCH, (k + 1) * BATCH)
-                equal = equal + (left[alive, part] == right[alive, part]).sum(1)
-                alive, equal = alive[equal >= least], equal[equal >= least]
-            at = pa.array(alive)
+            every = np.arange(len(left))
+            at = pa.array(survivors(left, right, every, every, percent))
             yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at)], ["a", "b"])
 
-    kind = pairs.schema["a"].dataType.simpleString()
-    both = pairs.join(signatures.toDF("a", "sa"), "a").join(signatures.toDF("b", "sb"), "b").select("a", "b", "sa", "sb")
-    return both.mapInArrow(kept, f"a {kind}, b {kind}")
-
-
-def verify(pairs: DataFrame, docs: DataFrame, words: int, percent: int, text: str, key: str) -> DataFrame:
-    """Pairs whose full sets reach the threshold."""
-    ids = cut(pairs.select("a").union(pairs.select("b")).distinct().withColumnRenamed("a", key))
-    many = ids.count()
-    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, many), words, text, key))
-    hubs = full.join(F.broadcast(pairs.select(F.col("a").alias("id")).distinct()) if many * 8 <= BROADCAST_BYTES else pairs.select(F.col("a").alias("id")).distinct(), "id", "left_semi")
-    width = hubs.agg(F.coalesce(F.sum(F.size("items") * 8 + 32), F.lit(0))).first()[0]
-    # few hubs are sent whole, so that no pair carries a set through a shuffle
-    side = F.broadcast(hubs.toDF("a", "ia")) if width <= BROADCAST_BYTES else full.toDF("a", "ia")
-    both = pairs.join(full.toDF("b", "ib"), "b").join(side, "a")
-    common = F.size(F.array_intersect("ia", "ib"))
-    return both.select("a", "b", common.alias("c"), (F.size("ia") + F.size("ib")).alias("t")).where(100 * F.col("c") >= percent * (F.col("t") - F.col("c"))).select("a", "b")
-
-
-def _common(left: list[np.ndarray], right: list[np.ndarray]) -> np.ndarray:
-    """Sizes of the intersections of all sets on the left with all on the right, as products of membership matrices."""
-    flat = [np.concatenate(x) if x else np.empty(0, np.int64) for x in (left, right)]
-    both = np.intersect1d(*flat)
-    out = np.zeros((len(left), len(right)), np.float32)
-    where = [np.searchsorted(both, f) for f in flat]
-    hits = [(w < len(both)) & (both[np.minimum(w, len(both) - 1)] == f) if len(both) else np.zeros(len(f), bool) for w, f in zip(where, flat, strict=True)]
-    rows = [np.repeat(np.arange(len(x)), [len(s) for s in x])[h] for x, h in zip((left, right), hits, strict=True)]
-    cols = [w[h] for w, h in zip(where, hits, strict=True)]
-    for k in range(0, len(both), 8192):
-        parts = []
-        for r, c, n in zip(rows, cols, (len(left), len(right)), strict=True):
-            m = np.zeros((n, min(8192, len(both) - k)), np.float32)
-            now = (c >= k) & (c < k + 8192)
-            m[r[now], c[now] - k] = 1
-            parts.append(m)
-        out += parts[0] @ parts[1].T
-    return out
+    side = lambda name, column: full.select(F.col("id").alias(name), F.col(column).alias(f"{column}_{name}"))
+    both = dealt(pairs.join(side("b", "sig"), "b"), side("a", "sig"), "a", hot, "b")
+    left = scratch.keep(both.select("a", "b", "sig_a", "sig_b").mapInArrow(kept, f"a {kind}, b {kind}"))
+    both = dealt(left.join(side("b", "items"), "b"), side("a", "items"), "a", hot, "b")
+    common = F.size(F.array_intersect("items_a", "items_b"))
+    sized = both.select("a", "b", common.alias("c"), (F.size("items_a") + F.size("items_b")).alias("t"))
+    found = scratch.keep(sized.where(100 * F.col("c") >= percent * (F.col("t") - F.col("c"))).select("a", "b"))
+    scratch.drop(pairs, left)
+    return found
 
 
-def search_large(near: DataFrame, members: DataFrame, docs: DataFrame, words: int, percent: int, text: str, key: str) -> DataFrame:
-    """Links (a, b) of ``near`` (id, root: the row shares a bucket with the large component) with the components' ``members`` (root, id).
+def in_blocks(rows: DataFrame, group: str, weight: str, size: int, scratch: Scratch) -> DataFrame:
+    """Rows (group, id, root, weight, ..) of the groups with several roots, once for each pair of blocks (x, y) that is to be compared.
 
-    Both sides go in blocks of about ``BLOCK_ITEMS`` shingles; a task gets two blocks and gives only true links.
+    The rows of a group's heaviest root form blocks of their own, which are compared with all others but not among
+    themselves. A block weighs about ``size``; ``first`` tells that a row comes from block x.
     """
-    ids = cut(near.select("id").union(members.select("id")).distinct().withColumnRenamed("id", key))
-    full = cut(sets(semi_by_id(docs.select(key, text), ids, key, ids.count()), words, text, key))
+    by_root = rows.groupBy(group, "root").agg(F.sum(weight).alias("w"))
+    info = by_root.groupBy(group).agg(F.sum("w").alias("all"), F.max(F.struct("w", "root")).alias("top"), F.count("*").alias("roots")).where("roots > 1")
+    whole = F.col("all") <= size
+    info = scratch.keep(info.select(group, F.when(whole, 1).otherwise(F.ceil((F.col("all") - F.col("top.w")) / size)).cast("long").alias("n"), F.when(whole, 0).otherwise(F.ceil(F.col("top.w") / size)).cast("long").alias("m"), F.col("top.root").alias("most"), F.col("all").alias("rows")))
+    total = info.agg(F.coalesce(F.sum("rows"), F.lit(0))).first()[0]
+    placed = dealt(rows, info.drop("rows"), group, hot_keys(info.select(group, "rows"), group, total), "id")
+    h = F.xxhash64("id", F.lit(3))
+    placed = placed.withColumn("own", F.when((F.col("m") > 0) & (F.col("root") == F.col("most")), F.col("n") + F.pmod(h, F.greatest("m", F.lit(1)))).otherwise(F.pmod(h, F.col("n"))))
+    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.when(F.col("own") >= F.col("n"), F.col("n")).otherwise(F.col("n") + F.col("m")) - 1)))
+    placed = placed.withColumns({"x": F.least("own", "other"), "y": F.greatest("own", "other"), "first": F.col("own") <= F.col("other")})
+    return placed.drop("n", "m", "most", "own", "other")
+
+
+def _pair_ranges(starts: np.ndarray, n: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """All pairs (i < j) of rows within groups that begin at ``starts``, at most about ``PAIRS`` at once."""
+    ends = np.repeat(np.append(starts[1:], n), np.diff(np.append(starts, n)))
+    later = ends - np.arange(n) - 1
+    total = np.concatenate(([0], np.cumsum(later)))
+    a = 0
+    while a < n:
+        b = max(a + 1, int(np.searchsorted(total, total[a] + PAIRS, "right")) - 1)
+        i = np.repeat(np.arange(a, b), later[a:b])
+        yield i, i + 1 + np.arange(len(i)) - np.repeat(total[a:b] - total[a], later[a:b])
+        a = b
+
+
+def _labels(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Smallest row of each row's component."""
+    label = np.arange(n)
+    while len(a):
+        low = np.minimum(label[a], label[b])
+        before = label.copy()
+        np.minimum.at(label, a, low)
+        np.minimum.at(label, b, low)
+        label = label[label]
+        if (before == label).all():
+            break
+    return label
 
-    def blocks(side: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
-        rows = side.join(full, "id")
-        number = cut(rows.groupBy("root").agg(F.ceil(F.sum(F.size("items")) / BLOCK_ITEMS).cast("int").alias("of")))  # a row for each large component
-        placed = rows.join(number, "root").withColumn(name, F.pmod(F.xxhash64("id"), F.col("of")).cast("int"))
-        return placed.groupBy("root", name).agg(F.collect_list(F.struct("id", "items")).alias(f"{name}s")), number
 
-    (left, _), (right, number) = blocks(near, "p"), blocks(members, "m")
-    spread = left.join(number, "root").withColumn("m", F.explode(F.sequence(F.lit(0), F.col("of") - 1))).drop("of")
+def _whole_groups(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[tuple[pa.Table, np.ndarray]]:
+    """Tables of whole groups (equal first three columns, sorted) with the starts of the groups, made of about ``limit`` bytes."""
+    held: list[pa.Table] = []
 
-    def linked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for k in range(batch.num_rows):
-                (xi, xs), (yi, ys) = (
-                    (c.field("id").to_numpy(), [v.values.to_numpy() for v in c.field("items")]) for c in (batch.column(0)[k].values, batch.column(1)[k].values)
-                )
-                size = np.array([len(s) for s in xs])[:, None] + np.array([len(s) for s in ys])[None, :]
-                c = _common(xs, ys)
-                i, j = np.nonzero((100 * c >= percent * (size - c)) & (c > 0) & (xi[:, None] != yi[None, :]))
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(xi[i], yi[j])), pa.array(np.maximum(xi[i], yi[j]))], ["a", "b"])
+    def starts(t: pa.Table) -> np.ndarray:
+        k = np.stack([t.column(c).to_numpy() for c in range(3)])
+        return np.concatenate(([0], np.flatnonzero((k[:, 1:] != k[:, :-1]).any(0)) + 1)) if t.num_rows else np.empty(0, int)
 
-    return spread.join(right, ["root", "m"]).select("ps", "ms").mapInArrow(linked, "a long, b long").distinct()
+    for batch in batches:
+        held.append(pa.Table.from_batches([batch]))
+        if sum(t.nbytes for t in held) >= limit:
+            t = pa.concat_tables(held)
+            at = starts(t)
+            if len(at) > 1:  # the last group may go on
+                yield t.slice(0, at[-1]), at[:-1]
+                held = [t.slice(at[-1])]
+            else:
+                held = [t]
+    if held and (t := pa.concat_tables(held)).num_rows:
+        yield t, starts(t)
+
+
+def forest(blocks: DataFrame, group: str, percent: int, exact: bool) -> DataFrame:
+    """Edges (a, b) of a spanning forest of the pairs within ``in_blocks`` rows that pass the test on signatures, or are links by their sets.
+
+    Pairs of one root are not compared. Memory is bounded by the size of two blocks.
+    """
+    names = [group, "x", "y", "id", "root", "n", "first", "sig", *(["items"] if exact else [])]
+
+    def found(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t, starts in _whole_groups(batches, 4 << 20):
+            x, y, ids, root, n, first = (t.column(c).to_numpy() for c in names[1:7])
+            sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint8).reshape(-1, HASHES)
+            lefts, rights = [], []
+            for i, j in _pair_ranges(starts, len(ids)):
+                open_ = (root[i] != root[j]) & ((x[i] == y[i]) | (first[i] != first[j])) & (np.minimum(n[i], n[j]) * 100 >= np.maximum(n[i], n[j]) * percent)
+                i, j = i[open_], j[open_]
+                alive = survivors(sig, sig, i, j, percent)
+                lefts.append(i[alive])
+                rights.append(j[alive])
+            i, j = np.concatenate(lefts), np.concatenate(rights)
+            if exact and len(i):
+                c = _common(t.column("items").combine_chunks(), i, j)
+                link = 100 * c >= percent * (n[i] + n[j] - c)
+                i, j = i[link], j[link]
+            label = _labels(len(ids), i, j)
+            away = np.flatnonzero(label != np.arange(len(ids)))
+            yield pa.RecordBatch.from_arrays([pa.array(ids[label[away]]), pa.array(ids[away])], ["a", "b"])
+
+    kind = blocks.schema["id"].dataType.simpleString()
+    rows = blocks.select(*names).repartition(group, "x", "y").sortWithinPartitions(group, "x", "y")
+    return rows.mapInArrow(found, f"a {kind}, b {kind}")
+
+
+def _common(items: pa.ListArray | pa.ChunkedArray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Sizes of the intersections of the sets of rows i with those of rows j; ``i`` is sorted."""
+    if isinstance(items, pa.ChunkedArray):
+        items = pa.concat_arrays(items.chunks)
+    at = items.offsets.to_numpy().astype(np.int64)
+    at, (_, place) = at - at[0], np.unique(items.flatten().to_numpy(), return_inverse=True)
+    seen, out = np.zeros(place.max(initial=0) + 1, bool), np.empty(len(i), np.int64)
+    cuts = np.concatenate(([0], np.flatnonzero(i[1:] != i[:-1]) + 1, [len(i)]))
+    for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+        mine = place[at[i[a]] : at[i[a] + 1]]
+        seen[mine] = True
+        size = at[j[a:b] + 1] - at[j[a:b]]
+        first = np.cumsum(size) - size
+        hits = seen[place[np.arange(size.sum()) + np.repeat(at[j[a:b]] - first, size)]]
+        out[a:b] = np.add.reduceat(hits, first, dtype=np.int64)
+        seen[mine] = False
+    return out
 
 
 def unique(docs: DataFrame, key: str = "doc_id") -> bool:
@@ -260,63 +365,86 @@ def near_duplicates(docs: DataFrame, words: int = 5, percent: int = 80, text: st
 
 def _grouped(docs: DataFrame, words: int, percent: int, text: str, key: str) -> DataFrame:
     """The result for rows whose ids are not null and all different."""
-    known = cut(sketch(docs, words, text, key))
-    groups = known.where("n > 0").groupBy("d1", "d2", "n").agg(F.min("id").alias("first"), F.count("*").alias("rows")).where("rows > 1").drop("rows")
-    copies = cut(known.select("id", "d1", "d2", "n").join(groups, ["d1", "d2", "n"]).where("id <> first").select("id", "first").distinct())
-    many = copies.count()
-    side = F.broadcast(copies.select("id")) if many * 16 <= (64 << 20) else copies.select("id")
-    alone = known.where("n > 0").join(side, "id", "left_anti")
-    signatures = alone.select("id", "sig")
+    spark = docs.sparkSession
+    s = Scratch(spark, "near-duplicates")
+    known = s.keep(sketch(docs, words, text, key))
+    live, total = known.where("n > 0"), known.count()
+    groups = s.keep(live.groupBy("same").agg(F.min("id").alias("first"), F.count("*").alias("rows")).where("rows > 1"))
+    hot = hot_keys(groups.select("same", "rows"), "same", total)
+    copies = s.keep(dealt(live.select("id", "same"), groups.select("same", "first"), "same", hot, "id").where("id <> first").select("id", "first"))
+    gone = copies.select("id")
+    alone = live.join(F.broadcast(gone) if copies.count() * 16 <= BROADCAST_BYTES else gone, "id", "left_anti")
     rows = alone.select("id", "n", F.explode("bands").alias("band"))
-    shared = rows.groupBy("band").agg(F.min(F.struct("id", "n")).alias("hub"), F.max("id").alias("last")).where("last <> hub.id").select("band", "hub")
-    members = cut(rows.join(shared, "band"))
-    near = lambda x, y: (F.least(x, y) * 100 >= F.greatest(x, y) * percent)  # noqa: E731  else the sizes alone rule it out
-    roots, tried, edges, extra = None, None, None, None
-    for turn in range(HUB_ROUNDS + 1):
-        if turn == 0:
-            pairs = members.where(F.col("id") != F.col("hub.id")).where(near(F.col("n"), F.col("hub.n"))).select(F.col("hub.id").alias("a"), F.col("id").alias("b")).distinct()
-        else:
-            placed = members.select("band", "id", "n").join(roots.toDF("id", "root"), "id", "left").withColumn("root", F.coalesce("root", "id"))
-            open_ = placed.groupBy("band").agg(F.min("root").alias("r1"), F.max("root").alias("r2"), F.min(F.struct(F.xxhash64("id", F.lit(turn)).alias("h"), "id", "n", "root")).alias("hub")).where("r1 <> r2").select("band", "hub")
-            placed = cut(placed.join(open_, "band"))
-            if placed.isEmpty():
-                break
-            extra = None
-            if turn == HUB_ROUNDS:
-                large = cut(roots.groupBy("root").count().where(F.col("count") >= LARGE - 1).select("root").withColumn("large", F.lit(True)))
-                placed = cut(placed.join(large, "root", "left").withColumn("large", F.coalesce("large", F.lit(False))))
-                at = placed.where("large").select("band", F.col("root").alias("to")).distinct()
-                beside = cut(placed.join(at, "band").where((F.col("root") != F.col("to")) & (~F.col("large") | (F.col("root") > F.col("to")))).select("id", F.col("to").alias("root")).distinct())
-                if not beside.isEmpty():
-                    inside = roots.select("root", F.col("node").alias("id")).union(large.select("root", F.col("root").alias("id"))).join(beside.select("root").distinct(), "root", "left_semi")
-                    extra = cut(search_large(beside, inside, docs, words, percent, text, key))
-                placed = placed.where("NOT large")
-            if turn < HUB_ROUNDS:
-                pairs = placed.where((F.col("root") != F.col("hub.root")) & near(F.col("n"), F.col("hub.n"))).select(F.least("id", "hub.id").alias("a"), F.greatest("id", "hub.id").alias("b"))
-            else:
-                x, y = placed.select("band", *(F.col(c).alias(f"{c}_x") for c in ("id", "n", "root"))), placed.select("band", *(F.col(c).alias(f"{c}_y") for c in ("id", "n", "root")))
-                pairs = x.join(y, (x.band == y.band) & (F.col("id_x") < F.col("id_y")) & (F.col("root_x") != F.col("root_y")) & near(F.col("n_x"), F.col("n_y"))).select(F.col("id_x").alias("a"), F.col("id_y").alias("b"))
-            pairs = pairs.distinct().join(tried, ["a", "b"], "left_anti")
-        pairs = cut(pairs)
-        found = None if pairs.isEmpty() else verify(cut(prune(pairs, signatures, percent)), docs, words, percent, text, key)
-        if turn == HUB_ROUNDS and extra is not None:
-            found = extra if found is None else found.union(extra)
-        if found is None and turn == 0:
-            break
-        if found is None:
-            continue
-        edges = cut(found if roots is None else found.union(roots.toDF("a", "b")))
-        roots = components(edges)
-        release(docs.sparkSession)
-        tried = pairs if tried is None else tried.union(pairs)
-    if roots is None:
-        roots = copies.toDF("node", "root").limit(0)
-    moved = copies.join(roots.select(F.col("node").alias("first"), "root"), "first", "left").select("id", F.coalesce("root", "first").alias("root"))
-    place = roots.select(F.col("node").alias("id"), "root").union(moved)
+    shared = s.keep(rows.groupBy("band").agg(F.min(F.struct("id", "n")).alias("hub"), F.count("*").alias("rows")).where("rows > 1"))
+    total = shared.agg(F.coalesce(F.sum("rows"), F.lit(0))).first()[0]
+    hot = hot_keys(shared.select("band", "rows"), "band", total)
+    members = s.keep(dealt(rows, shared.select("band", "hub"), "band", hot, "id"))
+    wanted = s.keep(members.select("id").distinct())
+    listed = sets(semi_by_id(docs.select(key, text), wanted.withColumnRenamed("id", key), key, wanted.count()), words, text, key)
+    full = s.keep(known.select("id", "n", "sig").join(listed, "id"))
+    roots, edges = _searched(members, full, hot, percent, s)
+    s.drop(members, wanted, full, shared, edges)
+    # copies go where their first one goes
+    hot = hot_keys(groups.select("first", "rows"), "first", known.count())
+    moved = dealt(copies, roots.withColumnRenamed("node", "first"), "first", hot, "id", "left").select("id", F.coalesce("root", "first").alias("root"))
+    place = s.keep(roots.select(F.col("node").alias("id"), "root").union(moved))
+    s.drop(copies, groups)
     out = known.select("id", "n").join(place, "id", "left").select(F.col("id").alias("doc_id"), F.col("n").alias("n_shingles"), F.coalesce("root", "id").alias("component_id"))
     return out.withColumn("kept", F.col("doc_id") == F.col("component_id"))
 
 
+def _searched(members: DataFrame, full: DataFrame, hot: DataFrame | None, percent: int, s: Scratch) -> tuple[DataFrame, DataFrame]:
+    """(node, root) of all links between ``members`` (band, id, n, hub) of buckets, and the links; ``hot``: the hot buckets."""
+    kind = members.schema["id"].dataType.simpleString()
+    edges = s.keep(members.sparkSession.createDataFrame([], f"a {kind}, b {kind}"))
+    roots, placed, turn = s.keep(edges.toDF("node", "root")), None, 0
+
+    def linked(more: DataFrame) -> None:
+        nonlocal edges, roots
+        both = s.keep(edges.unionByName(more))
+        s.drop(edges, roots, more)
+        edges, roots = both, components(both, s)
+
+    def place() -> DataFrame:
+        """Members of buckets whose rows are not all linked, with their roots."""
+        rows = s.keep(members.select("band", "id", "n").join(roots.toDF("id", "root"), "id", "left").withColumn("root", F.coalesce("root", "id")))
+        hub = F.min(F.struct(F.xxhash64("id", F.lit(turn)).alias("h"), "id", "n", "root"))
+        open_ = rows.groupBy("band").agg(F.min("root").alias("r1"), F.max("root").alias("r2"), hub.alias("hub")).where("r1 <> r2").select("band", "hub")
+        out = s.keep(dealt(rows, open_, "band", hot, "id"))
+        s.drop(rows)
+        return out
+
+    while True:
+        rows = members if turn == 0 else placed.where("root <> hub.root")
+        rows = rows.where((F.col("id") != F.col("hub.id")) & _near("n", "hub.n", percent))
+        pairs = s.keep(rows.groupBy("id").agg(F.mode("hub.id", True).alias("a")).select("a", F.col("id").alias("b")))
+        tried, new = pairs.count(), verify(pairs, full, percent, s)
+        s.drop(pairs)
+        found = new.count()
+        if found:
+            linked(new)
+        turn += 1
+        if placed is not None:
+            s.drop(placed)
+        placed = place()
+        if found * 10 < max(tried, 1):
+            break
+    at = in_blocks(placed.select("band", "id", "root", F.lit(1).alias("w")), "band", "w", BLOCK_ROWS, s)
+    tree = s.keep(forest(at.join(full.select("id", "n", "sig"), "id"), "band", percent, False))
+    s.drop(placed)
+    if not tree.isEmpty():
+        near = components(tree, s)
+        near = near.union(near.select(F.col("root").alias("node"), "root").distinct()).toDF("id", "near")
+        rows = s.keep(near.join(roots.toDF("id", "root"), "id", "left").withColumn("root", F.coalesce("root", "id")).join(full.select("id", F.col("n").alias("w")), "id"))
+        at = in_blocks(rows, "near", "w", BLOCK_ITEMS, s)
+        new = s.keep(forest(at.join(full, "id"), "near", percent, True))
+        s.drop(rows)
+        if not new.isEmpty():
+            linked(new)
+    s.drop(tree)
+    return roots, edges
+
+
 def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(read(spark, sf_dir, "documents"), words=2, percent=80)
 

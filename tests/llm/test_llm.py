@@ -1,6 +1,5 @@
 """Each operator against brute force, an exact round trip or held-out accuracy, with nulls, empty tables, ties and clashing names."""
 
-import hashlib
 import random
 import re
 import zlib
@@ -14,6 +13,7 @@ from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from deltamp.llm import chat, decontaminate, language, licences, main_text, near_duplicates, neighbours, packing, quality, queries, token_counts, tokenfsm
+from deltamp.llm.common import dealt, hot_keys
 from deltamp.llm.components import components
 
 PATH = public_tokenizers.path("byte_bpe_50k.json")
@@ -172,22 +172,45 @@ def _brute(texts, words, percent):
     return [(len(sets[i]), find(i)) for i in range(len(texts))]
 
 
-@pytest.mark.parametrize(("words", "large", "rounds"), [(2, 32, 3), (2, 3, 1)])
-def test_near_duplicates(spark, monkeypatch, words, large, rounds):
-    """A group of copies that drift from one base, so that links are partial; also through the block search."""
-    monkeypatch.setattr(near_duplicates, "LARGE", large)
-    monkeypatch.setattr(near_duplicates, "HUB_ROUNDS", rounds)
-    monkeypatch.setattr(near_duplicates, "BLOCK_ITEMS", 500)
+@pytest.mark.parametrize(("words", "rows", "items"), [(2, 512, 100_000), (2, 4, 500), (5, 6, 1000)])
+def test_near_duplicates(spark, monkeypatch, words, rows, items):
+    """A group of copies that drift from one base, so that links are partial; also in many blocks, and for the pipeline's five words."""
+    monkeypatch.setattr(near_duplicates, "BLOCK_ROWS", rows)
+    monkeypatch.setattr(near_duplicates, "BLOCK_ITEMS", items)
     r = random.Random(9)
     base = [f"w{r.randint(0, 10**6)}" for _ in range(120)]
     drift = lambda n: " ".join(f"v{r.randint(0, 10**6)}" if k in hit else w for hit in [set(r.sample(range(120), n))] for k, w in enumerate(base))
-    texts = [*ODD, *(drift(r.randint(0, 12)) for _ in range(60)), " ".join(base).upper(), *(" ".join(f"u{r.randint(0, 10**6)}" for _ in range(50)) for _ in range(10))]
+    texts = [*ODD, *(drift(r.randint(0, 12)) for _ in range(60)), " ".join(base).upper(), "  ".join(base) + "\n", *(" ".join(f"u{r.randint(0, 10**6)}" for _ in range(50)) for _ in range(10))]
     got = {x.doc_id: x for x in near_duplicates.near_duplicates(_docs(spark, texts), words, 80).collect()}
     for i, (n, c) in enumerate(_brute(texts, words, 80)):
         assert (got[i].n_shingles, got[i].component_id, got[i].kept) == (n, c, c == i)
     assert near_duplicates.near_duplicates(_docs(spark, ["a"]).limit(0)).count() == 0
 
 
+def test_hot_keys_are_dealt_over_salts(spark):
+    left = spark.range(5000).selectExpr("id", "CASE WHEN id < 3000 THEN 7 ELSE id END AS k")
+    right = spark.range(4000).selectExpr("id AS k", "id * 2 AS v")
+    hot = hot_keys(left.groupBy("k").agg(F.count("*").alias("rows")), "k", 5000)
+    assert [(r.k, r._salts) for r in hot.collect()] == [(7, 12)]
+    plain = lambda d: sorted(map(tuple, d.select("k", "id", "v").collect()), key=str)
+    for how in ("inner", "left"):
+        assert plain(dealt(left, right, "k", hot, "id", how)) == plain(left.join(right, "k", how))
+    shares = dealt(left, right, "k", hot, "id").where("k = 7").count()
+    assert shares == 3000
+
+
+def test_the_sequential_test_keeps_its_promise():
+    """Wrong prunes at the threshold stay below the looks' posterior bounds; unlike pairs go."""
+    looks = len(near_duplicates.least_equal(80))
+    assert near_duplicates.wrongly_pruned(0.8, 80) < looks * near_duplicates.MISS * 2
+    assert near_duplicates.wrongly_pruned(0.4, 80) > 0.99
+    r = np.random.default_rng(1)
+    left = r.integers(0, 256, (400, near_duplicates.HASHES), dtype=np.uint8)
+    right = np.where(r.random(left.shape) < np.repeat([0.9, 0.3], 200)[:, None], left, r.integers(0, 256, left.shape, dtype=np.uint8)).astype(np.uint8)
+    every = np.arange(400)
+    assert near_duplicates.survivors(left, right, every, every, 80).tolist() == list(range(200))
+
+
 def test_rows_of_one_id_and_of_none_are_documents_of_their_own(spark):
     """Repeated and null ids in the operator and in the pipeline's stage, against brute force over the rows."""
     import corpus_pipeline as p
@@ -217,12 +240,11 @@ def test_rows_of_one_id_and_of_none_are_documents_of_their_own(spark):
         assert x.doc_id == (min(ids) if ids else None)
 
 
-def test_block_search_finds_the_links(spark):
-    docs = _docs(spark, ["a b c d e f", "a b c d e f g", "q r s t", "a b c d e"])
-    near = spark.createDataFrame([(3, 0), (2, 0)], "id long, root long")
-    members = spark.createDataFrame([(0, 0), (0, 1)], "root long, id long")
-    got = near_duplicates.search_large(near, members, docs, 2, 80, "text", "doc_id").collect()
-    assert [tuple(r) for r in got] == [(0, 3)]
+def test_components_of_a_large_star(spark):
+    """A hub with the largest id and one with the smallest; both are hot keys."""
+    edges = [(100_000, i) for i in range(1, 1500)] + [(0, i) for i in range(2000, 3500)]
+    got = {x.node: x.root for x in components(spark.createDataFrame(edges, "a long, b long")).collect()}
+    assert got == {**{i: 1 for i in range(2, 1500)}, 100_000: 1, **{i: 0 for i in range(2000, 3500)}}
 
 
 def test_components(spark):
@@ -324,10 +346,6 @@ def test_neighbours(spark):
     assert neighbours.search(neighbours.build(spark.createDataFrame([], "vec_id long, embedding array<double>")), F.lit(True)).count() == 0
 
 
-def test_digests_are_plain_sha():
-    assert hashlib.sha256(b"").hexdigest().startswith("e3b0c442")
-
-
 def test_pipeline_stages(spark, docs):
     import corpus_pipeline as p
 
