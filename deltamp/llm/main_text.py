@@ -11,8 +11,8 @@ around (and partly inside) articles in several kinds of container, with invented
 
 Defined cases: a null or empty page has an empty text; scripts, styles, markup comments and the head never
 are blocks; the head ends at its end tag or at the first text or start tag that may not stand in it;
-unclosed tags, comments and quotes end at the latest with the page; a page without blocks has
-an empty text; repeated rows are treated alike; other columns are kept, those called like the results are replaced.
+an unclosed tag, comment or quote takes the rest of the page, a quote that is never closed is none; a page without
+blocks has an empty text; a page of any shape is read in time proportional to its length; repeated rows are treated alike; other columns are kept, those called like the results are replaced.
 """
 
 from __future__ import annotations
@@ -42,8 +42,10 @@ ENDS = {"li": ({"li"}, {"ul", "ol", "menu"}), "dt": ({"dt", "dd"}, {"dl"}), "dd"
 #: Elements that leave the head open; any other start tag, and text, ends it even without an end tag.
 HEAD = frozenset("html head title meta link base basefont bgsound script style noscript template".split())
 
-_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)([^>\"']*(?:\"[^\"]*\"|'[^']*'|[^>\"'])*)>")
-_LOOSE = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)([^>]*)>")
+_NAME = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)")
+_MARK = re.compile(r"[>\"']")
+#: Character references of more digits than a code point has; the standard unescaping can't take very long ones.
+_LONG = re.compile(r"&#(?:[0-9]{8,}|[xX][0-9a-fA-F]{7,});?")
 _NAMED = re.compile(r"""(?:^|\s)(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+))""", re.IGNORECASE)
 _PARTS = re.compile(r"[a-z]+")
 _NONE: frozenset[str] = frozenset()
@@ -56,11 +58,23 @@ class Block:
     link: float
 
 
+def _unescaped(text: str) -> str:
+    def short(m: re.Match) -> str:
+        digits = m[0].strip("&#;xX").lstrip("0")
+        return f"&#{'x' if m[0][2] in 'xX' else ''}{digits or 0};" if len(digits) < 8 else "\ufffd"
+
+    return html.unescape(_LONG.sub(short, text) if "&#" in text else text)
+
+
 class Scanner:
-    """Splits pages into leaf blocks; sets of ancestor features are shared between pages."""
+    """Splits pages into leaf blocks in one pass; sets of ancestor features are shared between pages.
+
+    With ``vocabulary`` only the features in it are kept, so a set is never larger, however deep a page is nested.
+    """
 
-    def __init__(self) -> None:
+    def __init__(self, vocabulary: frozenset[str] | None = None) -> None:
         self.sets: dict[tuple[frozenset[str], str, str], frozenset[str]] = {}
+        self.vocabulary = vocabulary
 
     def _inside(self, outer: frozenset[str], tag: str, rest: str) -> frozenset[str]:
         names = " ".join(x for m in _NAMED.findall(rest) for x in m) if "=" in rest else ""
@@ -69,13 +83,16 @@ class Scanner:
             if len(self.sets) > 50_000:
                 self.sets.clear()
             spaced = re.sub(r"(?<=[a-z])(?=[A-Z])", " ", names).lower()
-            known = self.sets[key] = outer | {f"t:{tag}"} | {f"c:{w}" for w in _PARTS.findall(spaced)}
+            own = {f"t:{tag}"} | {f"c:{w}" for w in _PARTS.findall(spaced)}
+            if self.vocabulary is not None:
+                own &= self.vocabulary
+            known = self.sets[key] = outer if own <= outer else outer | own
         return known
 
     def blocks(self, page: str) -> list[Block]:
         out: list[Block] = []
         stack: list[tuple[str, frozenset[str]]] = []
-        opened: Counter[str] = Counter()
+        places: dict[str, list[int]] = {}  # of each tag's open elements in the stack
         held: list[str] = []
         linked = total = 0
         at, n, quoted = 0, len(page), True
@@ -84,26 +101,27 @@ class Scanner:
             nonlocal linked, total
             if held:
                 text = " ".join("".join(held).split())
-                if text and not opened["head"]:
+                if text and not places.get("head"):
                     out.append(Block(text, stack[-1][1] if stack else _NONE, linked / max(1, total)))
                 held.clear()
                 linked = total = 0
 
-        def close(tag: str) -> None:
-            while stack:
-                top = stack.pop()[0]
-                opened[top] -= 1
-                if top == tag:
-                    break
+        def close(depth: int) -> None:
+            """Closes all elements from this place of the stack on."""
+            while len(stack) > depth:
+                places[stack.pop()[0]].pop()
+
+        def last(tags: set[str]) -> int:
+            return max((p[-1] for t in tags if (p := places.get(t))), default=-1)
 
         def say(text: str) -> None:
             nonlocal linked, total
             if text:
-                if opened["head"] > 0 and not text.isspace():
-                    close("head")
-                held.append(html.unescape(text) if "&" in text else text)
+                if (head := places.get("head")) and not text.isspace():
+                    close(head[-1])
+                held.append(_unescaped(text) if "&" in text else text)
                 total += len(text)
-                linked += len(text) if opened["a"] else 0
+                linked += len(text) if places.get("a") else 0
 
         while at < n:
             lt = page.find("<", at)
@@ -119,20 +137,23 @@ class Scanner:
                 end = page.find(">", lt)
                 at = n if end < 0 else end + 1
                 continue
-            m = _TAG.match(page, lt) if quoted else None
-            if m is None and (m := _LOOSE.match(page, lt)) and m[3].count('"') + m[3].count("'"):
-                quoted = False  # an open quote: from here on a tag ends at its first >
+            m = _NAME.match(page, lt)
             if m is None:
                 say("<")
                 at = lt + 1
                 continue
-            at, tag, end = m.end(), m[2].lower(), m[1] == "/"
-            if opened["head"] > 0 and not end and tag not in HEAD:
-                close("head")
+            stop = _tag_end(page, m.end()) if quoted else -1
+            if stop < 0:  # an open quote or no end: from here on a tag ends at its first >
+                quoted, stop = False, page.find(">", m.end())
+            if stop < 0:  # a tag without an end takes the rest of the page
+                break
+            rest, at, tag, end = page[m.end() : stop], stop + 1, m[2].lower(), m[1] == "/"
+            if (head := places.get("head")) and not end and tag not in HEAD:
+                close(head[-1])
             if tag in HIDDEN:
-                if not end and not m[3].endswith("/"):
-                    stop = re.compile(rf"</{tag}\s*>", re.IGNORECASE).search(page, at)
-                    at = stop.end() if stop else n
+                if not end and not rest.endswith("/"):
+                    done = re.compile(rf"</{tag}\s*>", re.IGNORECASE).search(page, at)
+                    at = done.end() if done else n
                 continue
             if tag == "br":
                 say(" ")
@@ -140,28 +161,35 @@ class Scanner:
             if tag not in INLINE:
                 flush()
             if end:
-                if opened[tag] > 0:
-                    close(tag)
+                if places.get(tag):
+                    close(places[tag][-1])
                 continue
             if tag in VOID:
                 continue
-            if tag not in INLINE and opened["p"] > 0:
-                close("p")
+            if tag not in INLINE and places.get("p"):
+                close(places["p"][-1])
             if tag in ENDS:
                 ended, limit = ENDS[tag]
-                k = len(stack) - 1
-                while k >= 0 and stack[k][0] not in ended and stack[k][0] not in limit:
-                    k -= 1
-                if k >= 0 and stack[k][0] in ended:
-                    while len(stack) > k:
-                        opened[stack.pop()[0]] -= 1
+                if (k := last(ended)) > last(limit):
+                    close(k)
             outer = stack[-1][1] if stack else _NONE
-            stack.append((tag, outer if tag in INLINE else self._inside(outer, tag, m[3])))
-            opened[tag] += 1
+            places.setdefault(tag, []).append(len(stack))
+            stack.append((tag, outer if tag in INLINE else self._inside(outer, tag, rest)))
         flush()
         return out
 
 
+def _tag_end(page: str, at: int) -> int:
+    """Place of the first > outside of quotes, -1 if there is none."""
+    while m := _MARK.search(page, at):
+        if m[0] == ">":
+            return m.start()
+        at = page.find(m[0], m.end()) + 1
+        if not at:
+            break
+    return -1
+
+
 def shape(b: Block) -> tuple[str, ...]:
     """Features of a block's text."""
     t = b.text
@@ -322,7 +350,7 @@ class Extractor:
     """Scores blocks with what the model knows of each set of ancestors kept at hand."""
 
     def __init__(self, model: Model) -> None:
-        self.model, self.scanner = model, Scanner()
+        self.model, self.scanner = model, Scanner(frozenset(model.weights))
         self.known: dict[frozenset[str], float] = {}
         self.shapes: dict[tuple[str, ...], float] = {}
 

@@ -2,6 +2,7 @@
 
 import random
 import re
+import time
 import zlib
 
 import duckdb
@@ -316,6 +317,44 @@ def test_page_without_head_end_and_body_keeps_its_text(spark):
     assert full == short and short.count("A sentence") == 6
 
 
+@pytest.mark.parametrize("part", ["<p", "<p ", "<a x='", '<a x="', "<", "<div class=a", "<li></li>", "&#9", "<!-", "</p", "<b>", "<div class=q%d>"])
+def test_malformed_megabyte_takes_seconds(part):
+    """1 MB of each, after deep nesting and before a closing mark too."""
+    text = "".join(part % i for i in range(60_000)) if "%d" in part else part * (1_000_000 // len(part))
+    extractor = main_text.Extractor(main_text.trained())
+    for page in (text, "<ul><li><ul>" + "<div>" * 20_000 + text, text + "'>\">"):
+        began = time.perf_counter()
+        extractor.text(page)
+        assert time.perf_counter() - began < 8
+
+
+def test_references_of_any_length():
+    blocks = main_text.Scanner().blocks(f"<p>a&#{'9' * 6000};b&#x{'0' * 9000}41;c&#{'0' * 5000}65;</p>")
+    assert blocks[0].text == "a\ufffdbAcA"
+
+
+HAND_PAGES = {
+    "blog": """<html><head><title>t</title></head><body><div id="wrapper"><div id="header"><h1><a href="/">My blog</a></h1><p>Just another weblog</p></div>
+      <div id="nav"><ul><li><a href=/a>Home</a></li><li><a href=/b>About</a></li></ul></div><div class="post"><h2>KEEP1 A walk</h2><p>KEEP2 We went out early, before the sun had come up.</p>
+      <p>KEEP3 It rained &amp; rained.</p></div><div class="comments"><h3>2 comments</h3><div class="comment"><p>Nice walk, thanks for sharing it with all of us.</p></div></div>
+      <div id="footer"><p>&copy; 2020 Someone. All rights reserved.</p></div></div></body></html>""",
+    "news": """<!doctype html><body><header><p>The paper</p></header><nav><a href=1>World</a> <a href=2>Sport</a></nav><main><h1>KEEP1 Bridge opens</h1><p>KEEP2 The bridge was opened on Monday, said the mayor.</p>
+      <div class="advert"><p>Buy two, get one free, this week only!</p></div><p>KEEP3 Thousands came to see it.</p><ul><li>KEEP4 It is long.</li></ul></main><aside class="related"><p>More stories that you may like to read.</p></aside><footer>Contact us</footer></body>""",
+    "docs": """<body><div class="sidebar"><ul><li><a href=x>Install</a><li><a href=y>Use</a></ul></div><section class="content"><h1>KEEP1 Install</h1><p>KEEP2 Run the setup and wait until it has ended.
+      <blockquote>KEEP3 Note that it may take a while.</blockquote><table><tr><td>KEEP4 one<td>KEEP5 two</table></section><div class="cookie-notice"><p>We use cookies to make this site work better for you.</p><button>OK</button></div></body>""",
+}
+
+
+@pytest.mark.parametrize("name", sorted(HAND_PAGES))
+def test_layouts_without_an_article_element(name):
+    """Pages written by hand: every marked block is found, and nothing else."""
+    found = main_text.Extractor(main_text.trained()).text(HAND_PAGES[name])
+    marks = re.findall(r"KEEP\d", HAND_PAGES[name])
+    assert re.findall(r"KEEP\d", found) == marks
+    for other in ("weblog", "Home", "sharing", "reserved", "World", "free", "stories", "Contact", "Install Use", "cookies"):
+        assert other not in found
+
+
 def test_viterbi_is_the_best_of_all_labelings():
     r = np.random.default_rng(5)
     for n in (1, 2, 6):
