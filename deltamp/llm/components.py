@@ -12,13 +12,12 @@ def components(edges: DataFrame, scratch: Scratch | None = None) -> DataFrame:
     """(node, root): each node of ``edges`` (a, b) but the smallest of its component, with that smallest one.
 
     Each round links every larger neighbour of a node to the node's least neighbour, then every smaller one
-    likewise; it ends when a round changes nothing, after a number of rounds that is logarithmic in practice.
+    likewise; it ends when only stars are left, after a number of rounds that is logarithmic in practice.
     The centre of a large star is a hot key of either join and is dealt over salts.
     """
     scratch = scratch or Scratch(edges.sparkSession, "components")
     e = scratch.keep(edges.where("a <> b").select(F.greatest("a", "b").alias("node"), F.least("a", "b").alias("root")).distinct())
-    state = None
-    while True:
+    while not _stars(e):
         total = e.count()
         least = e.groupBy("node").agg(F.min("root").alias("m"))
         hot = hot_keys(e.groupBy("root").agg(F.count("*").alias("rows")), "root", total)
@@ -31,7 +30,10 @@ def components(edges: DataFrame, scratch: Scratch | None = None) -> DataFrame:
         new = scratch.keep(small.union(least.select("node", F.col("m").alias("root"))).distinct())
         scratch.drop(e, large)
         e = new
-        now = tuple(e.agg(F.count("*"), F.sum(F.xxhash64("node", "root").cast("decimal(38,0)"))).first())
-        if now == state:
-            return e
-        state = now
+    return e
+
+
+def _stars(e: DataFrame) -> bool:
+    """Every node has one root, and no root is a node."""
+    twice = e.groupBy("node").agg(F.count("*").alias("rows")).where("rows > 1").select("node")
+    return twice.union(e.select(F.col("root").alias("node")).distinct().join(e.select("node").distinct(), "node", "left_semi")).isEmpty()
