@@ -1,13 +1,15 @@
 """Approximate nearest neighbours by an inverted multi-index.
 
-The two halves of a vector are quantised separately, so two codebooks of K centroids make K * K cells.
-A query takes the centroids of each half in order of distance and walks the pairs by their summed squared
-distance with a heap, until the cells met hold ``SHARE`` of all rows and ``LEAST`` rows at least. All
-entries of these cells are reranked by the true distance. With ``share`` = 1 the search is exact.
+The two halves of a vector are quantised separately, so two codebooks of K centroids make K * K cells; K grows with the
+rows so that a cell has about ``CELL`` of them. A query takes the centroids of each half in order of distance and walks the
+pairs by their summed squared distance with a heap, until the cells met hold a share of all rows. The share is
+measured with the fit: on its sample, the least that finds ``RECALL`` of the true neighbours. The entries of the cells
+met are reranked by the true distance. With ``share`` = 1 the search is exact.
 
-Queries go in blocks of ``BLOCK``; a block with its cells is a bounded broadcast, and every partition of
-the index gives at most k rows for a query. The codebooks are fitted on a bounded sample of rows; every row
-is indexed. The measured recall on vectors without any cluster is in the README.
+Queries go to the cells that they aim at: entries and queries meet by (cell, part, block) of at most about ``PART`` entries
+and ``BLOCK`` queries, so a cell with a third of all rows is many small groups, and rows of cells that no query
+aims at are not read on. Each task gives at most k rows for a query, which a ranking merges. The codebooks are fitted on a
+bounded sample of rows; every row is indexed.
 
 Defined cases: vectors that are null, zero, of another length than most, or hold a null or non-finite
 component take no part, neither as queries nor as candidates; rows without an id neither; ties go to the
@@ -28,10 +30,14 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import cut, read
+from .grouped import whole_groups
 
-#: Rows that the fit uses at most, centroids of a half, rounds of the fit.
-FIT_ROWS, CENTROIDS, FIT_ROUNDS = 20_000, 64, 12
-SHARE, LEAST, BLOCK = 0.5, 4096, 2048
+#: Rows that the fit uses at most, rows of a cell, centroids of a half at most, rounds of the fit.
+FIT_ROWS, CELL, CENTROIDS, FIT_ROUNDS = 20_000, 64, 256, 12
+#: Recall that the share of rows is chosen for, and queries of the sample that it is measured with.
+RECALL, TRIALS = 0.97, 256
+#: Entries and queries of a group, and results that a task holds before it merges them.
+PART, BLOCK, HELD = 2048, 1024, 500_000
 
 
 @dataclass
@@ -39,6 +45,7 @@ class Index:
     entries: DataFrame  # id, cell, v (float64 bytes)
     codebooks: tuple[np.ndarray, np.ndarray]
     counts: np.ndarray  # rows of each cell
+    share: float = 1.0  # of all rows that a search reads
 
 
 def _vectors(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
@@ -85,7 +92,8 @@ def build(vectors: DataFrame, key: str = "vec_id", column: str = "embedding") ->
     fit = sample.mapInArrow(valid, "id long, v binary").toPandas()
     x = np.frombuffer(b"".join(fit["v"]), float).reshape(-1, dim) if len(fit) else np.zeros((1, dim))
     half = dim // 2
-    codebooks = (_kmeans(x[:, :half], CENTROIDS), _kmeans(x[:, half:], CENTROIDS))
+    k = int(np.clip(round((total / CELL) ** 0.5), 2, CENTROIDS))
+    codebooks = (_kmeans(x[:, :half], k), _kmeans(x[:, half:], k))
     width = len(codebooks[1])
     shared = spark.sparkContext.broadcast(codebooks)
 
@@ -99,7 +107,33 @@ def build(vectors: DataFrame, key: str = "vec_id", column: str = "embedding") ->
     counts = np.zeros(len(codebooks[0]) * width, np.int64)
     for r in entries.groupBy("cell").count().collect():  # at most CENTROIDS ** 2 rows
         counts[r[0]] = r[1]
-    return Index(entries, codebooks, counts)
+    return Index(entries, codebooks, counts, _share(x, codebooks))
+
+
+def _aims(x: np.ndarray, books: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Squared distances of the halves to their centroids."""
+    half = books[0].shape[1]
+    return tuple(np.maximum(0, (h**2).sum(1)[:, None] + (c**2).sum(1) - 2 * h @ c.T) for h, c in ((x[:, :half], books[0]), (x[:, half:], books[1])))
+
+
+def _share(x: np.ndarray, books: tuple[np.ndarray, np.ndarray], k: int = 10) -> float:
+    """Least share of the sample's rows in the cells met first that holds ``RECALL`` of its rows' true neighbours."""
+    if len(x) < 4 * k:
+        return 1.0
+    tried = np.random.default_rng(8).permutation(len(x))[:TRIALS]
+    left, right = _aims(x, books)
+    width = right.shape[1]
+    cell = left.argmin(1) * width + right.argmin(1)
+    counts = np.bincount(cell, minlength=left.shape[1] * width)
+    norm, needed = (x**2).sum(1), []
+    for q in tried.tolist():
+        d = norm - 2 * x @ x[q]
+        d[q] = np.inf
+        order = traverse(left[q], right[q], counts, len(x))
+        met = np.zeros(len(counts))
+        met[order] = np.cumsum(counts[order]) / len(x)
+        needed.append(met[cell[np.argpartition(d, k)[:k]]])
+    return float(np.quantile(np.concatenate(needed), RECALL, method="higher"))
 
 
 def traverse(left: np.ndarray, right: np.ndarray, counts: np.ndarray, wanted: int) -> np.ndarray:
@@ -129,66 +163,86 @@ def _best(score: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     return np.lexsort((ids, score))[:k]
 
 
-def search(index: Index, where, k: int = 10, share: float = SHARE) -> DataFrame:
+def search(index: Index, where, k: int = 10, share: float | None = None) -> DataFrame:
     """query_id, rank, vec_id, score of the k nearest entries of each entry that ``where`` (over id) admits, itself left out."""
     spark, counts, books = index.entries.sparkSession, index.counts, index.codebooks
-    wanted = max(LEAST, int(np.ceil(share * counts.sum())))
-    half, cells = books[0].shape[1], len(counts)
+    wanted = max(k + 1, int(np.ceil((index.share if share is None else share) * counts.sum())))
     queries = index.entries.where(where).dropDuplicates(["id"])
+    known = spark.sparkContext.broadcast((books, counts))
 
     def aimed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        books, counts = known.value
         for b in batches:
             x = np.frombuffer(b"".join(b.column(1).to_pylist()), float).reshape(b.num_rows, -1)
-            left, right = (((h[:, None, :] - c[None]) ** 2).sum(2) for h, c in ((x[:, :half], books[0]), (x[:, half:], books[1])))
-            masks = []
-            for i in range(len(x)):
-                mask = np.zeros(cells, bool)
-                mask[traverse(left[i], right[i], counts, wanted)] = True
-                masks.append(np.packbits(mask).tobytes())
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(masks, pa.binary())], ["id", "v", "cells"])
-
-    total = queries.count()
-    blocks = max(1, -(-total // BLOCK))
-    block = F.pmod(F.xxhash64("id", F.lit(11)), F.lit(blocks))
-    aimed_at = cut(queries.select("id", "v").mapInArrow(aimed, "id long, v binary, cells binary").withColumn("block", block))
-    found = None
-    for n in range(blocks if total else 0):
-        rows = aimed_at.where(F.col("block") == n).select("id", "v", "cells").toPandas().sort_values("id")
-        if not len(rows):
-            continue
-        mine = cut(_search_block(index.entries, spark.sparkContext.broadcast((rows["id"].to_numpy(np.int64), np.frombuffer(b"".join(rows["v"]), float).reshape(len(rows), -1), np.stack([np.unpackbits(np.frombuffer(c, np.uint8))[:cells] for c in rows["cells"]]).astype(bool))), k))
-        found = mine if found is None else found.union(mine)
-    if found is None:
+            left, right = _aims(x, books) if len(x) else (x, x)
+            cells = [traverse(left[i], right[i], counts, wanted) for i in range(len(x))]
+            ends = pa.array(np.concatenate(([0], np.cumsum([len(c) for c in cells]))), pa.int32())
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.ListArray.from_arrays(ends, pa.array(np.concatenate([*cells, np.empty(0, np.int64)]), pa.int32()))], ["id", "v", "cells"])
+
+    aimed_at = cut(queries.select("id", "v").mapInArrow(aimed, "id long, v binary, cells array<int>"))
+    known.destroy()
+    asked = aimed_at.select("id", "v", F.explode("cells").alias("cell"))
+    met = asked.groupBy("cell").count().collect()  # at most CENTROIDS ** 2 rows
+    if not met:
         return index.entries.select(F.col("id").alias("query_id"), F.lit(1).alias("rank"), F.col("id").alias("vec_id"), F.lit(0.0).alias("score")).limit(0)
+    size = [(c, -(-int(counts[c]) // PART), -(-n // BLOCK)) for c, n in met]
+    groups = F.broadcast(spark.createDataFrame(size, "cell int, parts long, blocks long"))
+    dealt = lambda rows, one, n, each, m: rows.join(groups, "cell").withColumn(one, F.pmod(F.xxhash64("id"), F.col(n))).withColumn(each, F.explode(F.sequence(F.lit(0).cast("long"), F.col(m) - 1)))
+    entries = dealt(index.entries, "part", "parts", "block", "blocks").withColumn("asks", F.lit(False))
+    asking = dealt(asked, "block", "blocks", "part", "parts").withColumn("asks", F.lit(True))
+    names = ["cell", "part", "block", "asks", "id", "v"]
+    rows = entries.select(names).unionByName(asking.select(names)).repartition("cell", "part", "block").sortWithinPartitions("cell", "part", "block", "asks")
+
+    def nearest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] = []
+        for t, starts in whole_groups(batches):
+            asks, ids = t.column("asks").to_numpy(), t.column("id").to_numpy()
+            x = np.frombuffer(b"".join(t.column("v").to_pylist()), float).reshape(len(ids), -1)
+            for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(ids)], strict=True):
+                m = a + int(np.searchsorted(asks[a:b], True))
+                if a < m < b:
+                    held.append(_ranked(ids[m:b], x[m:b], ids[a:m], x[a:m], k))
+            if sum(map(len, held)) > HELD:
+                held = [_top(np.concatenate(held), k)]
+                if len(held[0]) > HELD:  # of too many queries to hold on
+                    yield _batch(held.pop())
+        if held:
+            yield _batch(_top(np.concatenate(held), k))
+
+    found = rows.mapInArrow(nearest, "query_id long, vec_id long, score double")
     rank = F.row_number().over(W.partitionBy("query_id").orderBy("score", "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
-def _search_block(entries: DataFrame, shared, k: int) -> DataFrame:
-    def nearest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, q, cells = shared.value
-        norm = (q**2).sum(1)
-        best: list[tuple[np.ndarray, np.ndarray]] = [(np.empty(0), np.empty(0, np.int64))] * len(ids)
-        for b in batches:
-            every, cell = b.column(0).to_numpy(), b.column(1).to_numpy()
-            whole = np.frombuffer(b"".join(b.column(2).to_pylist()), float).reshape(b.num_rows, -1)
-            for s in range(0, len(every), 2048):
-                eid, x = every[s : s + 2048], whole[s : s + 2048]
-                d = norm[:, None] + (x**2).sum(1) - 2 * q @ x.T
-                d[~cells[:, cell[s : s + 2048]] | (ids[:, None] == eid)] = np.inf
-                least = np.partition(d, min(k, d.shape[1]) - 1, axis=1)[:, min(k, d.shape[1]) - 1]
-                for i in range(len(ids)):
-                    had = best[i]
-                    bound = least[i] if len(had[0]) < k else min(least[i], had[0][-1] ** 2)
-                    near = np.flatnonzero((d[i] <= bound + 1e-9 * (1 + norm[i])) & np.isfinite(d[i]))  # the slack covers the rounding of d
-                    if len(near):
-                        score, vid = np.concatenate((had[0], _exact(q[i], x[near]))), np.concatenate((had[1], eid[near]))
-                        keep = _best(score, vid, k)
-                        best[i] = (score[keep], vid[keep])
-        n = [len(s) for s, _ in best]
-        yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, n)), pa.array(np.concatenate([v for _, v in best])), pa.array(np.concatenate([s for s, _ in best]))], ["query_id", "vec_id", "score"])
-
-    return entries.mapInArrow(nearest, "query_id long, vec_id long, score double")
+_FOUND = np.dtype([("query_id", np.int64), ("vec_id", np.int64), ("score", np.float64)])
+
+
+def _batch(found: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(found[c])) for c in _FOUND.names], list(_FOUND.names))
+
+
+def _top(found: np.ndarray, k: int) -> np.ndarray:
+    """The k best of each query."""
+    found = found[np.lexsort((found["vec_id"], found["score"], found["query_id"]))]
+    first = np.flatnonzero(np.concatenate(([True], found["query_id"][1:] != found["query_id"][:-1]))) if len(found) else np.empty(0, int)
+    return found[np.arange(len(found)) - np.repeat(first, np.diff(np.append(first, len(found)))) < k]
+
+
+def _ranked(qid: np.ndarray, q: np.ndarray, eid: np.ndarray, x: np.ndarray, k: int) -> np.ndarray:
+    """The k entries nearest to each query, by the true distance."""
+    norm = (q**2).sum(1)
+    d = norm[:, None] + (x**2).sum(1) - 2 * q @ x.T
+    d[qid[:, None] == eid] = np.inf
+    bound = np.partition(d, min(k, d.shape[1]) - 1, axis=1)[:, min(k, d.shape[1]) - 1]
+    out = []
+    for i in range(len(qid)):
+        near = np.flatnonzero((d[i] <= bound[i] + 1e-9 * (1 + norm[i])) & np.isfinite(d[i]))  # the slack covers the rounding of d
+        score = _exact(q[i], x[near])
+        keep = _best(score, eid[near], k)
+        part = np.empty(len(keep), _FOUND)
+        part["query_id"], part["vec_id"], part["score"] = qid[i], eid[near][keep], score[keep]
+        out.append(part)
+    return np.concatenate(out)
 
 
 def op9_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
