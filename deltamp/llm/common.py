@@ -60,7 +60,7 @@ class Scratch:
 
 
 #: A key is hot if it has more than one in ``PARTS`` of a table's rows, and more than ``FEW``.
-PARTS, FEW = 2000, 256
+PARTS, FEW = 2000, 64
 
 
 def hot_keys(counts: DataFrame, key: str, total: int) -> DataFrame | None:

@@ -30,6 +30,7 @@ from pyspark.sql import functions as F
 
 from . import textbuf
 from .common import read, remainder
+from .grouped import caches, enter
 
 ALPHABET = 64
 _BITS = 6
@@ -62,6 +63,9 @@ def _symbols(letters: tuple[int, ...]) -> np.ndarray:
     return table
 
 
+caches("language", _symbols.cache_clear)
+
+
 def presence(raw: np.ndarray, at: np.ndarray, letters: list[int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Distinct 3-grams of each text (concatenated), the offset of each text, and whether it has a letter."""
     cps, at = textbuf.codepoints(raw, at)
@@ -168,6 +172,7 @@ def fit(docs: DataFrame, where, label: str = "lang", text: str = "text", key: st
     alphabet = sorted(sorted(lowered, key=lambda c: (-lowered[c], c))[: ALPHABET - 2])
 
     def featurise(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("language")
         for b in batches:
             raw, at, _ = textbuf.utf8(b.column("text"))
             for i, j in textbuf.groups(at):
@@ -214,6 +219,7 @@ def score(docs: DataFrame, model: Model, text: str = "text", label_out: str = "l
 
     @F.arrow_udf("struct<a: string, b: double, c: double>")
     def predicted(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        enter("language")
         for part in parts:
             names, scores, covers = predict(part, shared.value)
             yield pa.StructArray.from_arrays([pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(covers, pa.float64())], ["a", "b", "c"])

@@ -38,6 +38,7 @@ from pyspark.sql import functions as F
 from . import textbuf
 from .common import BROADCAST_BYTES, Scratch, cut, dealt, hot_keys, read, semi_by_id
 from .components import components
+from .grouped import enter, whole_groups
 
 ROWS, BANDS = 6, 40
 HASHES = ROWS * BANDS
@@ -111,6 +112,7 @@ def sketch(docs: DataFrame, words: int, text: str = "text", key: str = "doc_id")
     """id, n, digest of the words, band hashes and one-byte signature of each row."""
 
     def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("near duplicates")
         _, _, inner, outer = _permutations()
         for batch in batches:
             raw, at, _ = textbuf.utf8(batch.column(1))
@@ -260,28 +262,6 @@ def _labels(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return label
 
 
-def _whole_groups(batches: Iterator[pa.RecordBatch], limit: int) -> Iterator[tuple[pa.Table, np.ndarray]]:
-    """Tables of whole groups (equal first three columns, sorted) with the starts of the groups, made of about ``limit`` bytes."""
-    held: list[pa.Table] = []
-
-    def starts(t: pa.Table) -> np.ndarray:
-        k = np.stack([t.column(c).to_numpy() for c in range(3)])
-        return np.concatenate(([0], np.flatnonzero((k[:, 1:] != k[:, :-1]).any(0)) + 1)) if t.num_rows else np.empty(0, int)
-
-    for batch in batches:
-        held.append(pa.Table.from_batches([batch]))
-        if sum(t.nbytes for t in held) >= limit:
-            t = pa.concat_tables(held)
-            at = starts(t)
-            if len(at) > 1:  # the last group may go on
-                yield t.slice(0, at[-1]), at[:-1]
-                held = [t.slice(at[-1])]
-            else:
-                held = [t]
-    if held and (t := pa.concat_tables(held)).num_rows:
-        yield t, starts(t)
-
-
 def forest(blocks: DataFrame, group: str, percent: int, exact: bool) -> DataFrame:
     """Edges (a, b) of a spanning forest of the pairs within ``in_blocks`` rows that pass the test on signatures, or are links by their sets.
 
@@ -290,7 +270,7 @@ def forest(blocks: DataFrame, group: str, percent: int, exact: bool) -> DataFram
     names = [group, "x", "y", "id", "root", "n", "first", "sig", *(["items"] if exact else [])]
 
     def found(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for t, starts in _whole_groups(batches, 4 << 20):
+        for t, starts in whole_groups(batches):
             x, y, ids, root, n, first = (t.column(c).to_numpy() for c in names[1:7])
             sig = np.frombuffer(b"".join(t.column("sig").to_pylist()), np.uint8).reshape(-1, HASHES)
             lefts, rights = [], []

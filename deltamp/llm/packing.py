@@ -29,6 +29,7 @@ from pyspark.sql import Window as W
 
 from . import textbuf, tokenfsm
 from .common import cut, read
+from .grouped import caches, enter
 
 CAPACITY, CLOSING = 2048, 0
 
@@ -92,10 +93,12 @@ class Encoder:
 
 
 _encoders: dict[str, Encoder] = {}
+caches("packing", _encoders.clear)
 
 
 def encode(column: pa.Array, path: str) -> Iterator[np.ndarray]:
     """Ids of each text of a column with the closing id."""
+    enter("packing")
     whole, at, _ = textbuf.utf8(column)
     every, row = tokenfsm.cut_long(whole, at)
     part: list[np.ndarray] = []

@@ -25,6 +25,7 @@ from pyspark.sql import functions as F
 
 from . import textbuf
 from .common import read, remainder
+from .grouped import enter
 
 #: Labelled rows at most that the fit uses, chosen by a hash of the id.
 FIT_ROWS = 16_000
@@ -198,6 +199,7 @@ def fit(docs: DataFrame, labels: DataFrame, where: Column, label: str = "quality
     rows = docs.select(key, F.col(text).alias("_t")).join(F.broadcast(known), key)  # the sample is bounded
 
     def measured(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        enter("quality")
         for b in batches:
             f = features(b.column(0))
             yield pa.RecordBatch.from_arrays([pa.FixedSizeListArray.from_arrays(pa.array(f.ravel()), len(FEATURES)).cast(pa.list_(pa.float64())), b.column(1), b.column(2)], ["f", "y", "k"])
@@ -211,6 +213,7 @@ def score(docs: DataFrame, model: Model, text: str = "text", score_out: str = "s
 
     @F.arrow_udf("double")
     def scored(parts: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        enter("quality")
         for part in parts:
             yield pa.array(shared.value.scores(features(part)), pa.float64())
 

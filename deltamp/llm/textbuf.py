@@ -9,7 +9,7 @@ import numpy as np
 import pyarrow as pa
 
 #: Bytes of text that a kernel handles at once; one longer text forms a group by itself.
-GROUP_BYTES = 1 << 20
+GROUP_BYTES = 1 << 18
 
 U64 = np.uint64
 _BASE = 0x9E3779B97F4A7C15 | 1

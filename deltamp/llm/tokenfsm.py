@@ -27,6 +27,7 @@ import pyarrow as pa
 import regex
 
 from . import textbuf
+from .grouped import caches, enter
 
 _L, _STMD, _R, _V, _LL, _E, _N, _SP, _WS, _O, _AP, _END = range(12)
 _START, _LR, _NR, _OR, _SP1, _SPK, _WS1, _WSK, _APO, _APR, _APV, _APL, _DONE = range(13)
@@ -34,9 +35,9 @@ _STATES, _SYMBOLS = 13, 12
 #: Code points of a chunk.
 CHUNK = 128
 #: Distinct pieces that a worker keeps at most before it starts anew.
-KEEP = 1_500_000
+KEEP = 600_000
 #: States of the merger that a worker keeps at most before it starts anew; about 1 kB each.
-STATES = 250_000
+STATES = 120_000
 
 
 @lru_cache(maxsize=1)
@@ -312,10 +313,12 @@ class Merger:
 
 
 _counters: dict[str, Splitter] = {}
+caches("token counts", _counters.clear)
 
 
 def count(column: pa.Array, path: str) -> np.ndarray:
     """Tokens of each text of a column, 0 for a null."""
+    enter("token counts")
     if path not in _counters or _counters[path].table.n > KEEP:
         _counters[path] = Splitter(path, Merger(path).counts)
     whole, at, _ = textbuf.utf8(column)
