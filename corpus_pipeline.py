@@ -6,8 +6,13 @@ similarity 0.8 or more) the document of the smallest id stays; rows that share a
 of their own, and only near copies among them go. decontamination: a document that holds a
 window of ten words of a benchmark item goes. packing: what is left is cut and packed into sequences.
 
-All stages but the last return the columns of documents. The classifiers are fitted on the whole input
-documents of the stage, with the labels in ``labels`` and the column ``lang``.
+All stages but the last return the columns of documents, whatever further columns these have. The classifiers are fitted
+on the input documents of the stage, with the labels in ``labels`` and the column ``lang``.
+
+Defined cases: a null text counts as empty; quality judges it by the score of an empty text, and the language stage drops
+it, as it has no letter; what is equally near or equally good is treated alike; repeated rows are judged alike and one of
+them is left by near_duplicates; without labels nothing is rejected for its quality (the score is 0.5), without a
+learned language every document goes; an empty table gives no rows at any stage.
 """
 
 from __future__ import annotations
@@ -18,7 +23,7 @@ from pyspark.sql import functions as F
 
 from deltamp.llm import decontaminate, language, near_duplicates, packing
 from deltamp.llm import quality as quality_model
-from deltamp.llm.common import cut, read
+from deltamp.llm.common import cut, free, read
 
 #: Share of a text's 3-grams that its language must know; other languages don't matter. On held-out rows of sf0.01 with four
 #: learned languages 99.5% reach 0.81; of texts in a language left out the median is 0.28 to 0.68, of random words 0.10.
@@ -30,13 +35,15 @@ ORACLE_SQL = None
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = quality_model.fit(docs, read(spark, sf_dir, "labels"), F.lit(True))
-    return quality_model.score(docs, model, score_out="_quality", predicted_out="_good").where("_good = 1").select(*docs.columns)
+    score, good = (free(docs.columns, c) for c in ("_quality", "_good"))
+    return quality_model.score(docs, model, score_out=score, predicted_out=good).where(F.col(good) == 1).select(*docs.columns)
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = language.fit(docs, F.lit(True))
-    scored = language.score(docs, model, label_out="_language", score_out="_sure", cover_out="_cover")
-    return scored.where((F.col("_language") != language.UNKNOWN) & (F.col("_cover") >= COVER)).select(*docs.columns)
+    label, sure, cover = (free(docs.columns, c) for c in ("_language", "_sure", "_cover"))
+    scored = language.score(docs, model, label_out=label, score_out=sure, cover_out=cover)
+    return scored.where((F.col(label) != language.UNKNOWN) & (F.col(cover) >= COVER)).select(*docs.columns)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -45,9 +52,10 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     else:
         key, rows = "_row", near_duplicates.numbered(docs)
         groups = near_duplicates.by_row(rows, words=5, percent=80)
-    gone = cut(groups.where("NOT kept").select(F.col(key).alias("_gone")))
+    mark = free(rows.columns, "_gone")
+    gone = cut(groups.where("NOT kept").select(F.col(key).alias(mark)))
     few = gone.count() * 16 <= (64 << 20)
-    return rows.join(F.broadcast(gone) if few else gone, F.col(key) == F.col("_gone"), "left_anti").select(*docs.columns)
+    return rows.join(F.broadcast(gone) if few else gone, F.col(key) == F.col(mark), "left_anti").select(*docs.columns)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -83,6 +83,14 @@ def dealt(left: DataFrame, right: DataFrame, key: str, hot: DataFrame | None, sp
     return many.join(one, [key, "_salt"], how).drop("_salt")
 
 
+def free(columns: list[str], name: str) -> str:
+    """``name``, with more underscores if a column is called so."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def remainder(column: str, modulus: int) -> Column:
     """crc32 of the id as text, modulo ``modulus``: the split into folds."""
     return F.crc32(F.col(column).cast("string")) % F.lit(modulus)

@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BROADCAST_BYTES, cut, read
+from .common import BROADCAST_BYTES, cut, free, read
 
 SIZE = 10
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -79,19 +79,22 @@ def _matched(docs: DataFrame, benchmark: DataFrame, size: int, text: str, key: s
 def remove_documents(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, text: str = "text", key: str = "doc_id") -> DataFrame:
     """Documents that no window occurs in."""
     hit, few = _matched(docs, benchmark, size, text, key)
-    side = hit.drop("_hits")
-    return docs.join(F.broadcast(side) if few else side, (F.xxhash64(docs[text]) == F.col("_h")) & docs[key].eqNullSafe(F.col("_k")), "left_anti")
+    k, h = (free(docs.columns, c) for c in ("_k", "_h"))
+    side = hit.select(F.col("_k").alias(k), F.col("_h").alias(h))
+    return docs.join(F.broadcast(side) if few else side, (F.xxhash64(docs[text]) == F.col(h)) & docs[key].eqNullSafe(F.col(k)), "left_anti")
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame, size: int = SIZE, text: str = "text", key: str = "doc_id") -> DataFrame:
     """All documents, the hit words (each with what separates it from the word before) taken out of the text."""
     hit, few = _matched(docs, benchmark, size, text, key)
-    both = docs.join(F.broadcast(hit) if few else hit, (F.xxhash64(docs[text]) == F.col("_h")) & docs[key].eqNullSafe(F.col("_k")), "left")
+    k, h, hits = (free(docs.columns, c) for c in ("_k", "_h", "_hits"))
+    side = hit.toDF(k, h, hits)
+    both = docs.join(F.broadcast(side) if few else side, (F.xxhash64(docs[text]) == F.col(h)) & docs[key].eqNullSafe(F.col(k)), "left")
     parts = F.regexp_extract_all(F.col(text), F.lit(_WORD), F.lit(0))
     tail = F.regexp_extract(F.col(text), r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]*$", 0)
-    marked = F.map_from_entries(F.transform("_hits", lambda i: F.struct(i, F.lit(True))))
+    marked = F.map_from_entries(F.transform(hits, lambda i: F.struct(i, F.lit(True))))
     left = F.concat(F.array_join(F.filter(parts, lambda x, i: ~F.map_contains_key(marked, i)), ""), tail)
-    return both.withColumn(text, F.when(F.col("_hits").isNull(), F.col(text)).otherwise(left)).select(*docs.columns)
+    return both.withColumn(text, F.when(F.col(hits).isNull(), F.col(text)).otherwise(left)).select(*docs.columns)
 
 
 def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:

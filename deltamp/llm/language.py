@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textbuf
-from .common import read, remainder
+from .common import free, read, remainder
 from .grouped import caches, enter
 
 ALPHABET = 64
@@ -224,8 +224,8 @@ def score(docs: DataFrame, model: Model, text: str = "text", label_out: str = "l
             names, scores, covers = predict(part, shared.value)
             yield pa.StructArray.from_arrays([pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(covers, pa.float64())], ["a", "b", "c"])
 
-    kept = [c for c in docs.columns if c not in (label_out, score_out, cover_out)]
-    return docs.select(*(F.col(f"`{c}`") for c in kept), predicted(F.col(f"`{text}`")).alias("_p")).select(*(F.col(f"`{c}`") for c in kept), F.col("_p.a").alias(label_out), F.col("_p.b").alias(score_out), *([F.col("_p.c").alias(cover_out)] if cover_out else []))
+    kept, p = [c for c in docs.columns if c not in (label_out, score_out, cover_out)], free(docs.columns, "_p")
+    return docs.select(*(F.col(f"`{c}`") for c in kept), predicted(F.col(f"`{text}`")).alias(p)).select(*(F.col(f"`{c}`") for c in kept), F.col(f"{p}.a").alias(label_out), F.col(f"{p}.b").alias(score_out), *([F.col(f"{p}.c").alias(cover_out)] if cover_out else []))
 
 
 def op1_language(spark: SparkSession, sf_dir: str) -> DataFrame:

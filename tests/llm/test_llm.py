@@ -420,11 +420,73 @@ def test_neighbours_of_a_larger_table(spark, monkeypatch):
     assert got["query_id"].nunique() == 80 and found / 800 >= 0.9 and index.share < 0.6
 
 
-def test_pipeline_stages(spark, docs):
+def test_columns_of_any_name_come_through(spark, docs):
+    """Columns called like the operators' own ones keep their values."""
+    names = ("_p", "_k", "_h", "_hits", "_quality", "_good", "_language", "_sure", "_cover", "_gone")
+    more = docs.select("*", *(F.lit(c).alias(c) for c in names))
+    bench = spark.read.parquet(f"{SF}/benchmark.parquet")
     import corpus_pipeline as p
 
-    kept = docs
+    for out in (p.quality(spark, more, SF), p.language_id(spark, more, SF), decontaminate.remove_documents(more, bench), decontaminate.remove_spans(more, bench), p.near_dedup(spark, more.limit(30), SF)):
+        assert out.columns == more.columns
+        assert out.select(*names).distinct().collect() == [tuple(names)]
+
+
+def _words(text):
+    return [w for w in re.split(r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or "")) if w]
+
+
+def test_pipeline_stages_against_brute_force(spark, docs):
+    """Each stage on all that its predecessor kept, with nulls, empty texts and repeated rows, against plain Python."""
+    import corpus_pipeline as p
+
+    extra = [(10**9 + i, t, None, "odd", None) for i, t in enumerate(ODD)] + [(10**9 + 50, ODD[8], None, "odd", None)]
+    kept = docs.unionByName(spark.createDataFrame(extra, DOCS)).cache()
+    items = [_words(r.text) for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]
+    windows = {tuple(w[i : i + min(10, len(w))]) for w in items if w for i in range(len(w) - min(10, len(w)) + 1)}
     for name, stage in p.STAGES[:-1]:
+        rows = kept.orderBy("doc_id").collect()
+        texts = [r.text for r in rows]
+        if name == "quality":
+            m = quality.fit(kept, spark.read.parquet(f"{SF}/labels.parquet"), F.lit(True))
+            want = [r for r, s in zip(rows, m.scores(quality.features(pa.array(texts, pa.string()))), strict=True) if s >= 0.3]
+        elif name == "language":
+            names, _, cover = language.predict(pa.array(texts, pa.string()), language.fit(kept, F.lit(True)))
+            want = [r for r, n, c in zip(rows, names, cover, strict=True) if n != "und" and c >= p.COVER]
+        elif name == "near_duplicates":
+            want = [rows[i] for i, (_, root) in enumerate(_brute(texts, 5, 80)) if i == root]
+        else:
+            grams = [{tuple(w[i : i + n]) for n in {len(x) for x in windows} for i in range(len(w) - n + 1)} for w in map(_words, texts)]
+            want = [r for r, g in zip(rows, grams, strict=True) if not g & windows]
         before, kept = kept, stage(spark, kept, SF).cache()
-        assert kept.columns == docs.columns and 0 < kept.count() <= before.count(), name
+        assert kept.columns == docs.columns and sorted(kept.collect(), key=str) == sorted(want, key=str), name
+        assert 0 < kept.count() < before.count(), name
+        assert stage(spark, docs.limit(0), SF).count() == 0
     assert p.STAGES[-1][1](spark, kept, SF).select("doc_id").distinct().count() == kept.count()
+
+
+def test_op1_and_op2_queries_against_the_plain_models(spark, docs):
+    """Splits and results of the registered queries against the models run over all texts in one process."""
+    rows = docs.orderBy("doc_id").collect()
+    texts = pa.array([r.text for r in rows], pa.string())
+    fold = lambda n: [zlib.crc32(str(r.doc_id).encode()) % n for r in rows]
+    names, scores, _ = language.predict(texts, language.fit(docs, F.crc32(F.col("doc_id").cast("string")) % 4 != 2))
+    got = queries.QUERIES["op1_language"](spark, SF).orderBy("doc_id").collect()
+    assert [tuple(r) for r in got] == [(r.doc_id, f == 2, n, s) for r, f, n, s in zip(rows, fold(4), names, scores.tolist(), strict=True)]
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    m = quality.fit(docs, labels, F.crc32(F.col("doc_id").cast("string")) % 5 != 0)
+    plain = [sum([m.base, *(t[b] for t, b in zip(m.tables, bins)), *(t[m.coarse[i][bins[i]], m.coarse[j][bins[j]]] for i, j, t in m.pairs)]) for bins in m.bins(quality.features(texts)).tolist()]
+    got = queries.QUERIES["op2_quality"](spark, SF).orderBy("doc_id").collect()
+    assert [(r.doc_id, r.held_out) for r in got] == [(r.doc_id, f == 0) for r, f in zip(rows, fold(5), strict=True)]
+    assert np.allclose([r.score for r in got], 1 / (1 + np.exp(-np.array(plain)))) and all(r.predicted == (r.score >= 0.3) for r in got)
+
+
+def test_empty_tables_and_repeated_rows(spark):
+    none = _docs(spark, ["a"]).limit(0)
+    assert token_counts.count_tokens(none, PATH).count() == 0 and decontaminate.scan(none, spark.createDataFrame([(1, "a")], "item_id long, text string")).count() == 0
+    assert chat.format_chats(spark.createDataFrame([], "conv_id long, turn long, role string, text string")).count() == 0
+    assert main_text.extract(spark.createDataFrame([], "page_id long, html string")).count() == 0
+    model = quality.train(np.empty((0, len(quality.FEATURES))), np.empty(0))
+    assert quality.score(none, model).count() == 0
+    twice = spark.createDataFrame([(1, "<p>x", "k"), (1, "<p>x", "k")], "page_id long, html string, text string")
+    assert len({tuple(r) for r in main_text.extract(twice).collect()}) == 1 and main_text.extract(twice).count() == 2
