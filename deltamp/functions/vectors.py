@@ -30,33 +30,34 @@ def unnest(df: DataFrame, vec: str = "vec", key: str = "node_id") -> DataFrame:
     return df.select(key, F.posexplode(vec).alias("dim", "val"))
 
 
-def _fold(how: str, cell: Column) -> Column:
-    return {"min": F.min, "max": F.max, "sum": F.sum, "mean": F.avg}[how](cell)
+_SQL = {"min": "min", "max": "max", "sum": "sum", "mean": "avg"}
 
 
-def select_by_key(df: DataFrame, key: list[str], width: int, aggregates: dict[str, tuple[str, Column | None]], vec: str = "vec", block: int = BLOCK) -> DataFrame:
-    """Element-wise aggregates of vectors by key, each under its name as (how, condition).
+def select_by_key(df: DataFrame, key: list[str], width: int, aggregates: dict[str, tuple[str, str | None]], vec: str = "vec", block: int = BLOCK) -> DataFrame:
+    """Element-wise aggregates of vectors by key, each under its name as (how, SQL condition).
 
     The vectors are cut into blocks of positions, and a block's positions are plain aggregate columns, so map-side
     partial aggregation holds ``block`` numbers for a key and never a neighbourhood. A group without a row that
-    meets the condition has a null vector.
+    meets the condition has a null vector. The plan is one SQL statement, as it has a column for each position.
     """
-    def columns(n: int, at) -> list[Column]:
-        return [_fold(how, F.when(cond, at(i)) if cond is not None else at(i)).alias(f"{name}_{i}") for name, (how, cond) in aggregates.items() for i in range(n)]
+    keys = ", ".join(key)
 
-    def gathered(name: str, n: int) -> Column:
-        return F.when(F.col(f"{name}_0").isNotNull(), F.array(*(F.col(f"{name}_{i}") for i in range(n))))
+    def columns(n: int, at: str) -> str:
+        cell = lambda how, cond, i: f"{_SQL[how]}({at.format(i) if cond is None else f'CASE WHEN {cond} THEN {at.format(i)} END'})"
+        return ", ".join(f"{cell(how, cond, i)} AS {name}_{i}" for name, (how, cond) in aggregates.items() for i in range(n))
 
+    def gathered(n: int) -> str:
+        return ", ".join(f"CASE WHEN {name}_0 IS NOT NULL THEN array({', '.join(f'{name}_{i}' for i in range(n))}) END AS {name}" for name in aggregates)
+
+    run = df.sparkSession.sql
     if width <= block:
-        out = df.groupBy(*key).agg(*columns(width, lambda i: F.col(vec)[i]))
-        return out.select(*key, *(gathered(name, width).alias(name) for name in aggregates))
+        return run(f"SELECT {keys}, {gathered(width)} FROM (SELECT {keys}, {columns(width, vec + '[{}]')} FROM {{df}} GROUP BY {keys})", df=df)
     n = -(-width // block)
-    cut = df.withColumn("_b", F.explode(F.sequence(F.lit(0), F.lit(n - 1)))).withColumn("_v", F.slice(vec, F.col("_b") * block + 1, block))
-    parts = cut.groupBy(*key, "_b").agg(*columns(block, lambda i: F.get("_v", F.lit(i))))
-    parts = parts.select(*key, "_b", *(gathered(name, block).alias(name) for name in aggregates))
-    whole = parts.groupBy(*key).agg(*(F.sort_array(F.collect_list(F.when(F.col(name).isNotNull(), F.struct("_b", name)))).alias(name) for name in aggregates))
-    joined = lambda name: F.when(F.size(name) > 0, F.slice(F.flatten(F.transform(name, lambda s: s[name])), 1, width))
-    return whole.select(*key, *(joined(name).alias(name) for name in aggregates))
+    inner = f"SELECT *, slice({vec}, _b * {block} + 1, {block}) AS _v FROM {{df}} LATERAL VIEW explode(sequence(0, {n - 1})) AS _b"
+    parts = f"SELECT {keys}, _b, {gathered(block)} FROM (SELECT {keys}, _b, {columns(block, 'get(_v, {})')} FROM ({inner}) GROUP BY {keys}, _b)"
+    listed = ", ".join(f"sort_array(collect_list(CASE WHEN {name} IS NOT NULL THEN struct(_b, {name}) END)) AS {name}" for name in aggregates)
+    joined = ", ".join(f"CASE WHEN size({name}) > 0 THEN slice(flatten(transform({name}, s -> s.{name})), 1, {width}) END AS {name}" for name in aggregates)
+    return run(f"SELECT {keys}, {joined} FROM (SELECT {keys}, {listed} FROM ({parts}) GROUP BY {keys})", df=df)
 
 
 #: SQL functions by name: arguments, type and expression.

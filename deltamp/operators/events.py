@@ -7,24 +7,20 @@ batch or is after it. Events are narrow; the vectors are joined late, once for e
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
 from deltamp.functions.vectors import select_by_key
-from deltamp.operators.state import small
 
 SIDES = {"del": "before", "add": "after"}
 
 
 def seed_events(delta: DataFrame) -> DataFrame:
     """Changed edges: a removed one cancels what its source sent before, a new one offers what its source sends now."""
-    side = F.when(F.col("op") == "del", SIDES["del"]).otherwise(SIDES["add"])
-    return delta.select("dst", "op", "src", side.alias("side"))
+    return delta.selectExpr("dst", "op", "src", f"if(op = 'del', '{SIDES['del']}', '{SIDES['add']}') AS side")
 
 
-def frontier_events(changed: DataFrame, count: int, before: DataFrame, after: DataFrame) -> DataFrame:
-    """Nodes whose message changed cancel the old one along their old edges and offer the new one along their new edges."""
-    ids = small(changed.select(F.col("node_id").alias("src")), count)
-    part = lambda edges, op: edges.join(ids, "src").select("dst", F.lit(op).alias("op"), "src", F.lit(SIDES[op]).alias("side"))
+def frontier_events(before: DataFrame, after: DataFrame) -> DataFrame:
+    """Nodes whose message changed cancel the old one along their old edges and offer the new one along their new edges (src, dst)."""
+    part = lambda edges, op: edges.selectExpr("dst", f"'{op}' AS op", "src", f"'{SIDES[op]}' AS side")
     return part(before, "del").unionByName(part(after, "add"))
 
 
@@ -40,4 +36,4 @@ def attach(events: DataFrame, messages: DataFrame, share: bool = True) -> DataFr
 
 def reduce_events(attached: DataFrame, how: str, width: int) -> DataFrame:
     """(dst, del_vec, add_vec): both ops of a target reduced in one shuffle; null where a target has no event of the op."""
-    return select_by_key(attached, ["dst"], width, {"del_vec": (how, F.col("op") == "del"), "add_vec": (how, F.col("op") == "add")})
+    return select_by_key(attached, ["dst"], width, {"del_vec": (how, "op = 'del'"), "add_vec": (how, "op = 'add'")})

@@ -7,6 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from deltamp.functions.vectors import select_by_key
+from deltamp.sources.graphs import pair_hash
 
 
 def cached_sample(edges: DataFrame, fanout: int, seed: int = 0, salts: int = 1) -> DataFrame:
@@ -14,7 +15,7 @@ def cached_sample(edges: DataFrame, fanout: int, seed: int = 0, salts: int = 1)
 
     With ``salts`` > 1 a hub's edges are ranked in parts first, and only the parts' winners meet.
     """
-    h = F.pmod(F.xxhash64("src", "dst", F.lit(seed)), F.lit(2147483647).cast("long"))
+    h = (pair_hash(F.col("src"), F.col("dst")) + F.lit(seed * 104729)) % F.lit(2147483647).cast("long")
     rows = edges.select("src", "dst", h.alias("h"))
     if salts > 1:
         part = W.partitionBy("dst", F.pmod("h", F.lit(salts))).orderBy("h", "src")
@@ -30,6 +31,12 @@ def extend_sample(sample: DataFrame, delta: DataFrame) -> DataFrame:
     return left.unionByName(delta.where("op = 'add'").select("src", "dst", F.lit(True).alias("kept")))
 
 
+def sampled_delta(sample: DataFrame, delta: DataFrame) -> DataFrame:
+    """The net changes that a sample sees: deletes of edges that it keeps, and all inserts."""
+    gone = delta.where("op = 'del'").join(sample.where("kept").select("src", "dst"), ["src", "dst"], "left_semi")
+    return gone.select("src", "dst", "op").unionByName(delta.where("op = 'add'").select("src", "dst", "op"))
+
+
 def pool(outputs: DataFrame, groups: DataFrame, width: int, how: str = "sum") -> DataFrame:
     """(group_id, vec): pooled outputs of the members (node_id, group_id)."""
     return select_by_key(outputs.join(groups, "node_id"), ["group_id"], width, {"pooled": (how, None)}).select("group_id", F.col("pooled").alias("vec"))

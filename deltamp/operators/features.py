@@ -5,43 +5,38 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from deltamp.operators.dense import run_tail
-from deltamp.operators.full import first_messages
-from deltamp.operators.state import cut
+from deltamp.operators.full import first_messages, next_messages, user_rows
+from deltamp.operators.state import hold, ids_of
 
 
 def apply_features(session, features: DataFrame) -> DataFrame:
     """New features (node_id, vec) of known nodes; returns the changed outputs (node_id, version, vec)."""
     from deltamp.operators.incremental import advance
 
-    fresh = first_messages(features, session.model).withColumnRenamed("vec", "new")
-    ids = cut(features.select("node_id").distinct())
-    old = session.state.msg[1].lookup(ids, ids.count()).withColumnRenamed("vec", "old")
-    changed = cut(fresh.join(old, "node_id").where(~F.col("new").eqNullSafe(F.col("old"))).select("node_id", "old", "new"))
-    none = cut(session.spark.createDataFrame([], "src long, dst long, op string"))
-    step = advance(session.state, session.edges, none, session.model, session.options, session.state.version + 1, changed)
-    session._stats += step.stats
-    session._reads += step.reads
-    return step.changed.select("node_id", F.lit(session.state.version).cast("long").alias("version"), F.col("new").alias("vec"))
+    fresh = hold(first_messages(features, session.model).withColumnRenamed("vec", "new"))
+    old = session.state.msg[1].lookup(ids_of(fresh)).withColumnRenamed("vec", "old")
+    changed = hold(fresh.df.join(old, "node_id").where(~F.col("new").eqNullSafe(F.col("old"))).select("node_id", "old", "new"))
+    none = hold(session.spark.createDataFrame([], "src long, dst long, op string"))
+    return session.take(advance(session.state, none, session.model, session.options, changed))[0]
 
 
 def insert_nodes(session, features: DataFrame) -> None:
     """Nodes without edges yet: their aggregates are null at every stage; their edges come as changes after that."""
-    state, version = session.state, session.state.version + 1
-    vec = cut(first_messages(features, session.model))
-    for s, stage in enumerate(session.model.stages()[1:], 1):
-        state.msg[s].commit(vec, version)
-        empty = vec.select("node_id", F.lit(None).cast("array<double>").alias("vec"))
-        state.agg[s].commit(empty, version)
-        rows = empty.withColumnRenamed("vec", "agg").join(vec.withColumnRenamed("vec", "own"), "node_id")
-        vec = cut(run_tail(stage, rows, session.model))
-    state.msg[session.model.k + 1].commit(vec, version)
-    state.version = version
-    state.save()
+    state, model, writes = session.state, session.model, []
+    vec = hold(first_messages(features, model))
+    for s, stage in enumerate(model.stages()[1:], 1):
+        writes.append((f"msg_{s}", vec.df))
+        empty = vec.df.select("node_id", F.lit(None).cast("array<double>").alias("vec"))
+        writes.append((f"agg_{s}", empty))
+        user = user_rows(model, s, vec.df)
+        if user is not None:
+            writes.append((f"user_{s}", user))
+        vec = hold(next_messages(stage, empty.withColumnRenamed("vec", "agg"), vec.df, model, user))
+    state.commit([*writes, (f"msg_{model.k + 1}", vec.df)])
 
 
 def delete_nodes(session, ids: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Removes all edges of the nodes (node_id); the nodes stay, without neighbours."""
-    now = session.edges.now()
-    gone = now.join(ids.select(F.col("node_id").alias("src")), "src", "left_semi").unionByName(now.join(ids.select(F.col("node_id").alias("dst")), "dst", "left_semi")).distinct()
-    return session.apply_delta(cut(gone.withColumn("op", F.lit("del"))))
+    found = ids_of(hold(ids.select("node_id").distinct()))
+    gone = session.edges.out_of(found).unionByName(session.edges.into(found)).distinct()
+    return session.apply_delta(gone.withColumn("op", F.lit("del")))

@@ -33,7 +33,7 @@ def attention(edges: DataFrame, messages: DataFrame, op: Attention, width: int)
     e = e.withColumn("z", F.col("l") + F.col("r")).withColumn("z", F.when(F.col("z") < 0, F.col("z") * op.slope).otherwise(F.col("z")))
     top = e.groupBy("dst").agg(F.max("z").alias("top"))  # a shift that keeps exp in range
     e = e.join(top, "dst").withColumn("w", F.exp(F.col("z") - F.col("top")))
-    weighted = select_by_key(e.select("dst", F.transform("vec", lambda x: x * F.col("w")).alias("vec")), ["dst"], width, {"s": ("sum", None)})
+    weighted = select_by_key(e.selectExpr("dst", "transform(vec, x -> x * w) AS vec"), ["dst"], width, {"s": ("sum", None)})
     total = e.groupBy("dst").agg(F.sum("w").alias("t"))
     return weighted.join(total, "dst").select(F.col("dst").alias("node_id"), F.transform("s", lambda x: x / F.col("t")).alias("agg"))
 
@@ -47,17 +47,26 @@ def first_messages(features: DataFrame, model: ModelSpec) -> DataFrame:
     return run_tail(model.stages()[0], features.select("node_id", F.col("vec").alias("own")), model)
 
 
-def next_messages(stage: Stage, aggregates: DataFrame, messages: DataFrame, model: ModelSpec) -> DataFrame:
+def user_rows(model: ModelSpec, s: int, messages: DataFrame) -> DataFrame | None:
+    """(node_id, vec) of the user's events when every message is new."""
+    if model.hooks.emit is None:
+        return None
+    return model.hooks.merged(messages.select("node_id", F.lit(None).cast("array<double>").alias("old"), F.col("vec").alias("new")), s)
+
+
+def next_messages(stage: Stage, aggregates: DataFrame, messages: DataFrame, model: ModelSpec, user: DataFrame | None = None) -> DataFrame:
     rows = aggregates.join(messages.select("node_id", F.col("vec").alias("own")), "node_id") if stage.self_term else aggregates
+    if user is not None and model.hooks.apply is not None:
+        rows = model.hooks.apply(rows, user)
     return run_tail(stage, rows, model)
 
 
 def full_infer(features: DataFrame, edges: DataFrame, model: ModelSpec) -> DataFrame:
     """B1: (node_id, vec) on one snapshot, nothing kept. Attention, sums and means are allowed here."""
     nodes, messages = features.select("node_id"), first_messages(features, model)
-    for stage in model.stages()[1:]:
+    for s, stage in enumerate(model.stages()[1:], 1):
         messages = cut(messages)  # read twice: along the edges and as a self-term
-        messages = next_messages(stage, complete(nodes, aggregate(edges, messages, stage)), messages, model)
+        messages = next_messages(stage, complete(nodes, aggregate(edges, messages, stage)), messages, model, user_rows(model, s, messages))
     return messages
 
 
@@ -65,10 +74,16 @@ def bootstrap(features: DataFrame, edges: DataFrame, model: ModelSpec, state: St
     """M1: one full pass whose messages and aggregates become version 0."""
     validate(model)
     nodes = features.select("node_id")
-    state.msg[1].create(first_messages(features, model))
+    state.edges.create(edges, 0)
+    edges, n = state.edges.read(0), nodes.count()
+    state.msg[1].create(first_messages(features, model), 0, n)
     for s, stage in enumerate(model.stages()[1:], 1):
-        messages = state.msg[s].read()
-        state.agg[s].create(complete(nodes, aggregate(edges, messages, stage)).withColumnRenamed("agg", "vec"))
-        state.msg[s + 1].create(next_messages(stage, state.agg[s].read().withColumnRenamed("vec", "agg"), messages, model))
-    state.version = 0
-    state.save()
+        messages = state.msg[s].read(0)
+        state.agg[s].create(complete(nodes, aggregate(edges, messages, stage)).withColumnRenamed("agg", "vec"), 0, n)
+        user = user_rows(model, s, messages)
+        if user is not None:
+            state.user[s].create(user, 0, n)
+            user = state.user[s].read(0)
+        aggregates = state.agg[s].read(0).withColumnRenamed("vec", "agg")
+        state.msg[s + 1].create(next_messages(stage, aggregates, messages, model, user), 0, n)
+    state.start()

@@ -7,6 +7,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 
 class NotIncremental(ValueError):
@@ -66,20 +67,42 @@ class Unsupported:
     name: str
 
 
+@dataclass(frozen=True)
+class Joined:
+    """Width of the vectors that the user's ``apply`` hands to the tail; it stands right after a marker."""
+
+    width: int
+
+
 @dataclass(frozen=True)
 class Hooks:
-    """User events: rows emitted beside the native ones, how those of one target merge, and their effect before the tail."""
+    """User events beside the native ones.
+
+    ``emit`` gets changed messages (node_id, old, new; all of them, with null ``old``, in a full pass) and the stage's number
+    and gives rows (node_id, vec); ``merge`` makes one row of those of a node (the last by default); the newest row of
+    each node is kept with the state. ``apply`` gets rows (node_id, agg, ..) and the user rows of these nodes and
+    gives the rows that the tail reads. Full passes run the same hooks, so both modes agree.
+    """
 
-    emit: Callable[[DataFrame, dict], DataFrame] | None = None
+    emit: Callable[[DataFrame, int], DataFrame] | None = None
     merge: Callable[[DataFrame], DataFrame] | None = None
     apply: Callable[[DataFrame, DataFrame], DataFrame] | None = None
 
+    def merged(self, changed: DataFrame, stage: int) -> DataFrame:
+        rows = self.emit(changed, stage)
+        return self.merge(rows) if self.merge is not None else rows
+
 
 @dataclass(frozen=True)
 class Stage:
     marker: object | None  # None for the ops before the first marker
     tail: tuple
     width: int  # of the vectors that enter
+    joined: int = 0  # of the vectors that the user's hooks make of them
+
+    @property
+    def tail_width(self) -> int:
+        return self.joined or self.width
 
     @property
     def self_term(self) -> bool:
@@ -99,18 +122,21 @@ class ModelSpec:
 
     def stages(self) -> list[Stage]:
         """Stage 0: ops before the first marker; then one stage for each marker, not for each layer."""
-        out, marker, tail, width, entered = [], None, [], self.width, self.width
+        out, marker, tail, width, entered, joined = [], None, [], self.width, self.width, 0
         for op in self.ops:
             if isinstance(op, (Select, Attention)):
-                out.append(Stage(marker, tuple(tail), entered))
-                marker, tail, entered = op, [], width
+                out.append(Stage(marker, tuple(tail), entered, joined))
+                marker, tail, entered, joined = op, [], width, 0
+                continue
+            if isinstance(op, Joined):
+                width = joined = op.width
                 continue
             tail.append(op)
             if isinstance(op, (Dense, Combine)):
                 if op.weights.shape[1] != width:
                     raise ValueError(f"{self.name}: {type(op).__name__} reads {op.weights.shape[1]} positions of {width}")
                 width = op.weights.shape[0]
-        return [*out, Stage(marker, tuple(tail), entered)]
+        return [*out, Stage(marker, tuple(tail), entered, joined)]
 
     @property
     def k(self) -> int:
@@ -190,4 +216,13 @@ def isonet(k: int = 5, d: int = 64, select: str = "max", width: int | None = Non
     return ModelSpec("isonet", tuple(ops), width or d)
 
 
+def sage_by_hooks(k: int = 2, d: int = 256, select: str = "min") -> ModelSpec:
+    """GraphSAGE whose self-term is the user's: a changed message is an event for its own node."""
+    emit = lambda changed, stage: changed.select("node_id", F.col("new").alias("vec"))
+    beside = lambda: F.concat(F.coalesce("agg", F.array_repeat(F.lit(0.0), d)), "vec").alias("agg")
+    apply = lambda rows, own: rows.join(own, "node_id").select("node_id", beside())
+    dense = np.hstack([fixed_weights(d, d), fixed_weights(d, d, 1)])
+    return ModelSpec("sage_by_hooks", (Select(select), Joined(2 * d), Dense(dense), Bias(BIAS), Relu()) * k, d).with_hooks(emit, apply=apply)
+
+
 ZOO = {"gcn": gcn, "sage": sage, "isonet": isonet}

@@ -20,7 +20,7 @@ from deltamp.sources import temporal as T
 def make_model(kind: str, k: int, d: int, how: str) -> M.ModelSpec:
     if kind.startswith("gcn"):
         return M.gcn(k, d, how, order="aggregate_first" if kind == "gcn_aggfirst" else "transform_first")
-    return M.ZOO[kind](k, d, how)
+    return {**M.ZOO, "sage_by_hooks": M.sage_by_hooks}[kind](k, d, how)
 
 
 @dataclass
@@ -60,7 +60,7 @@ class Stream:
 
     @cached_property
     def delta(self) -> DataFrame:
-        return cut(T.net_delta(self.changes, self.before))
+        return T.net_delta(self.changes, self.before).df
 
     def features(self, d: int) -> DataFrame:
         if d not in self.kept:
@@ -82,6 +82,12 @@ class Run:
     def model(self) -> M.ModelSpec:
         return make_model(self.kind, self.k, self.d, self.how)
 
+    @cached_property
+    def booted(self) -> IncrementalSession:
+        """The session before the first batch."""
+        s = self.stream
+        return IncrementalSession(s.spark, self.model, s.features(self.d), s.before, **dict(self.options)).bootstrap()
+
     @cached_property
     def session(self) -> IncrementalSession:
         """The session after all batches; ``seconds`` holds each batch's time."""

@@ -9,9 +9,11 @@ from deltamp.operators import affected as A
 from deltamp.operators import metrics as C
 from deltamp.operators.extras import diff_count
 from deltamp.operators.full import full_infer
+from deltamp.operators.incremental import IncrementalSession
 from deltamp.operators.state import cut
 from deltamp.plans import model as M
 from deltamp.plans.runs import Run, make_model, stream
+from deltamp.sources import temporal as T
 
 COMPARISON = "graph string, model string, n_updates int, full_s double, affected_s double, incremental_s double, incremental_p95_s double, speedup double, n_area long, n_real long, n_visited long, updatable double, feature_reads long, saved_reads long, read_ratio double, identical boolean"
 HOW = {"gcn": (2, "min"), "sage": (2, "min"), "isonet": (5, "max")}
@@ -25,20 +27,26 @@ def compare(spark: SparkSession, sf_dir: str, graphs: tuple[str, ...] = ("user_i
             k, how = HOW[kind]
             for n in updates:
                 s = stream(spark, sf_dir, graph, n * batches)
-                run = Run(s, kind, k, d, how, n)
-                session = run.session
-                model, features, after = run.model, s.features(d), s.after
-                full_s = C.timed(lambda m=model, f=features, a=after: C.to_noop(full_infer(f, a, m)))
-                out: list = []
-                affected_s = C.timed(lambda s=s, m=model, f=features, a=after, out=out: out.append(A.affected_infer(f, s.before, a, s.delta, m)))
-                _, area, fetched = out[0]
+                model, features = make_model(kind, k, d, how), s.features(d)
+                session = IncrementalSession(spark, model, features, s.before).bootstrap()
+                numbered, before, times = T.batches(s.changes, n), s.before, []
+                n_area = fetched = 0
+                for b in range(batches):  # every interval by all methods, on the same evaluated inputs
+                    delta = T.net_delta(numbered.where(F.col("batch") == b), session.edges)
+                    mine = C.timed(lambda delta=delta: session.apply_delta(delta))
+                    after, out = cut(session.edges.now()), []
+                    theirs = C.timed(lambda x=before, y=after, delta=delta, out=out: out.append(A.affected_infer(features, x, y, delta.df, model)))
+                    whole = C.timed(lambda y=after: C.to_noop(full_infer(features, y, model)))
+                    times.append((mine, theirs, whole))
+                    n_area, fetched, before = n_area + out[0][1].count(), fetched + out[0][2], after
+                mine, theirs, whole = zip(*times, strict=True)
                 stats = {r.condition: r.n for r in C.condition_shares(session.stats()).collect()}
                 visited = sum(stats.values())
                 real = session.outputs(0).join(session.outputs().withColumnRenamed("vec", "now"), "node_id").where("vec <> now").count()
                 reads = C.incremental_reads(session.reads())
-                mid, late = C.spread_of(run.seconds)
-                same = diff_count(session.outputs(), full_infer(features, after, model)) == 0 if check else None
-                rows.append((graph, kind, n, full_s, affected_s, mid, late, affected_s / mid, area.count(), real, visited, 1 - stats.get("exposed_reset", 0) / max(1, visited), fetched, reads, fetched / max(1, reads), same))
+                (mid, late), (other, _), (full_s, _) = C.spread_of(list(mine)), C.spread_of(list(theirs)), C.spread_of(list(whole))
+                same = diff_count(session.outputs(), full_infer(features, before, model)) == 0 if check else None
+                rows.append((graph, kind, n, full_s, other, mid, late, other / mid, n_area, real, visited, 1 - stats.get("exposed_reset", 0) / max(1, visited), fetched, reads, fetched / max(1, reads), same))
     return spark.createDataFrame(rows, COMPARISON)
 
 
@@ -61,6 +69,22 @@ def phases(spark: SparkSession, sf_dir: str, graph: str, kind: str = "gcn", n: i
     return spark.createDataFrame([(p.split("_")[0], int(p.split("_")[1]), float(t)) for batch in (run.session.phases) for p, t in batch.items()], "phase string, stage int, seconds double")
 
 
+def baseline_phases(spark: SparkSession, sf_dir: str, graph: str, kind: str = "gcn", n: int = 10, d: int = 8) -> DataFrame:
+    """Seconds of affected-area inference: finding the area and what it needs, fetching features, inference itself."""
+    k, how = HOW[kind]
+    s, model, held = stream(spark, sf_dir, graph, n), make_model(kind, k, d, how), {}
+    features, before, after, delta = s.features(d), s.before, s.after, s.delta
+
+    def construct() -> None:
+        held["area"] = A.area(delta, before, after, model.k, "tight")
+        held["need"] = A.need_sets(held["area"], after, model)
+
+    seconds = [("construction", C.timed(construct)), ("fetch", C.timed(lambda: cut(features.join(held["need"][0], "node_id", "left_semi"))))]
+    whole = C.timed(lambda: A.infer_for(held["area"], features, after, model))
+    seconds.append(("inference", max(0.0, whole - seconds[1][1])))
+    return spark.createDataFrame([(f"affected {p}", 0, float(t)) for p, t in seconds], "phase string, stage int, seconds double")
+
+
 def grouping_ablation(spark: SparkSession, sf_dir: str, graph: str = "user_item", n: int = 20, d: int = 8) -> DataFrame:
     """Per-event recompute, ungrouped and grouped events: differing rows, reads and seconds."""
     s, rows = stream(spark, sf_dir, graph, n), []

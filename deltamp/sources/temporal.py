@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from deltamp.operators.state import Held, hold, ids_of, small
+
 
 def pairs_after(log: DataFrame) -> DataFrame:
     """Pairs (a, b) whose last change is an insert. The last change is an algebraic aggregate, so hot pairs combine early."""
@@ -35,7 +37,7 @@ def snapshot_at(edges_t: DataFrame, t) -> DataFrame:
 
 
 def latest_pairs(log: DataFrame, n: int = 500_000) -> DataFrame:
-    """Newest ``n`` directed edges of the final snapshot: an approximate quantile bounds the sort, ties are broken exactly."""
+    """Newest ``n`` directed edges of the final snapshot: a bounded top-k, ties by the larger pair."""
     last = log.groupBy("a", "b").agg(F.max_by("op", "t").alias("op"), F.max("t").alias("t")).where("op = 'add'").select("a", "b", "t")
     return last.orderBy(F.desc("t"), F.desc("a"), F.desc("b")).limit(n // 2)
 
@@ -53,9 +55,13 @@ def batches(changes: DataFrame, size: int) -> DataFrame:
     return changes.withColumn("batch", F.floor(F.col("seq") / size).cast("int"))
 
 
-def net_delta(changes: DataFrame, edges: DataFrame) -> DataFrame:
+def net_delta(changes: DataFrame, edges) -> Held:
     """Net effect of one batch, (src, dst, op) in both directions: the last op of a pair, without inserts of present and deletes of absent edges."""
     last = changes.groupBy("a", "b").agg(F.max_by("op", F.struct("t", "seq")).alias("op"))
-    delta = directed(last)
-    here = edges.join(F.broadcast(delta.select("src", "dst")), ["src", "dst"], "left_semi").withColumn("here", F.lit(True))
-    return delta.join(here, ["src", "dst"], "left").where((F.col("op") == "add") == F.col("here").isNull()).select("src", "dst", "op")
+    delta = hold(directed(last))
+    if isinstance(edges, DataFrame):
+        near = edges.join(small(delta.df.select("src", "dst"), delta.n), ["src", "dst"], "left_semi")
+    else:  # stored edges: those of the sources alone
+        near = edges.out_of(ids_of(delta, "src"))
+    here = near.withColumn("here", F.lit(True))
+    return hold(delta.df.join(here, ["src", "dst"], "left").where((F.col("op") == "add") == F.col("here").isNull()).select("src", "dst", "op"))

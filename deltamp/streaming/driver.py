@@ -10,7 +10,7 @@ from pyspark.sql import types as T
 from pyspark.sql.streaming import StreamingQuery
 
 from deltamp.operators.incremental import IncrementalSession
-from deltamp.operators.state import cut, shared_dir
+from deltamp.operators.state import cut, hold, ids_of, shared_dir
 from deltamp.plans.model import ModelSpec
 from deltamp.sources import graphs as G
 from deltamp.sources import temporal
@@ -33,40 +33,50 @@ def changes_of(events: DataFrame) -> DataFrame:
 
 
 class StreamRunner:
-    """Applies micro-batches to a session; the batch number is in the manifest, so a repeated batch changes nothing."""
+    """Applies micro-batches to a session, each in one commit with its number and the pairs' last times.
 
-    def __init__(self, session: IncrementalSession, last_times: DataFrame) -> None:
-        self.session, self.last, self.done = session, last_times, -1
+    The number is in the manifest, so a batch that the stream gives again after a restart changes nothing. ``last``: the last
+    time (a, b, t) of each pair before the stream, not needed for a resumed session.
+    """
+
+    def __init__(self, session: IncrementalSession, last: DataFrame | None = None) -> None:
+        self.session, self.state = session, session.state
+        if not self.state.last.bases:
+            self.state.last.create(last.select(F.col("a").alias("src"), F.col("b").alias("dst"), "t"), self.state.version)
+            self.state.extra = {**self.state.extra, "stream_batch": -1}
+            self.state.save()
+
+    @property
+    def done(self) -> int:
+        return self.state.extra["stream_batch"]
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id <= self.done:
             return
-        rows = cut(changes_of(batch))
+        rows = hold(changes_of(batch))
         # an op that is older than what the pair has seen is ignored
-        rows = rows.join(self.last.select("a", "b", F.col("t").alias("_seen")), ["a", "b"], "left").where("_seen IS NULL OR t > _seen").drop("_seen")
-        rows = cut(rows)
-        self.session.apply(rows)
-        newest = rows.groupBy("a", "b").agg(F.max("t").alias("t"))
-        self.last = cut(self.last.join(newest.select("a", "b"), ["a", "b"], "left_anti").unionByName(newest))
-        self.done = batch_id
+        seen = self.state.last_times(ids_of(rows, "a")).toDF("a", "b", "_seen")
+        rows = hold(rows.df.join(seen, ["a", "b"], "left").where("_seen IS NULL OR t > _seen").drop("_seen"))
+        newest = rows.df.groupBy(F.col("a").alias("src"), F.col("b").alias("dst")).agg(F.max("t").alias("t"))
+        self.session.apply(rows.df, extra={"stream_batch": batch_id}, also=[("last", newest)])
 
 
 def start(runner: StreamRunner, events: DataFrame, checkpoint: str, trigger: dict | None = None) -> StreamingQuery:
     return events.writeStream.foreachBatch(runner).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
 
 
-def stream_user_item(spark: SparkSession, sf_dir: str, model: ModelSpec, held: int = 30, files: int = 2) -> IncrementalSession:
+def stream_user_item(spark: SparkSession, sf_dir: str, model: ModelSpec, held: int = 60, files: int = 3) -> IncrementalSession:
     """The newest ``held`` events as files of a stream over the graph of all earlier ones, run to the end."""
     events = spark.read.parquet(f"{sf_dir}/events.parquet").select(*(f.name for f in EVENTS))
     newest = cut(events.orderBy(F.desc("ts"), F.desc("event_id")).limit(held))
-    earlier = events.join(F.broadcast(newest.select("event_id")), "event_id", "left_anti")
+    earlier = events.join(F.broadcast(newest.select("event_id")), "event_id", "left_anti")  # at most ``held`` rows
     folder = f"{shared_dir(spark)}/events-{uuid.uuid4().hex}"
     newest.repartitionByRange(files, "ts").write.parquet(f"{folder}/in")
     log = changes_of(events)
     nodes = cut(G.hashed_features(G.nodes_of(log), model.width))
     old = cut(changes_of(earlier).select("t", "op", "a", "b"))
-    session = IncrementalSession(spark, model, nodes, cut(temporal.snapshot(old))).bootstrap()
-    runner = StreamRunner(session, cut(old.groupBy("a", "b").agg(F.max("t").alias("t"))))
+    session = IncrementalSession(spark, model, nodes, cut(temporal.snapshot(old)), state_dir=f"{folder}/state").bootstrap()
+    runner = StreamRunner(session, old.groupBy("a", "b").agg(F.max("t").alias("t")))
     start(runner, read_events(spark, f"{folder}/in"), f"{folder}/checkpoint").awaitTermination()
     return session
 

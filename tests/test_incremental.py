@@ -9,8 +9,10 @@ from deltamp.operators import affected as A
 from deltamp.operators.extras import cached_sample, choose, diff_count, extend_sample
 from deltamp.operators.features import delete_nodes, insert_nodes
 from deltamp.operators.full import aggregate, complete, full_infer
+from deltamp.operators import incremental, state
 from deltamp.operators.incremental import IncrementalSession
-from deltamp.operators.state import cut
+from deltamp.operators.metrics import user_lines
+from deltamp.operators.state import State, cut, hold, ids_of
 from deltamp.plans import model as M
 from deltamp.sources import graphs as G
 from deltamp.sources import temporal as T
@@ -46,13 +48,13 @@ def _check(s):
     ("model", "flags"),
     [
         (M.gcn(2, 6), {}), (M.sage(2, 6, "max"), {"propagate": "eager"}), (M.isonet(3, 4), {"compare": "message", "dedupe": True}),
-        (M.sage(2, 40), {"recompute_scope": "block", "share": False}), (M.gcn(2, 6, order="aggregate_first"), {"mode": "recompute_all", "early_stop": False}),
+        (M.sage(2, 40), {"recompute_scope": "block", "share": False}), (M.gcn(2, 6, order="aggregate_first"), {"mode": "recompute_all", "early_stop": False}), (M.sage_by_hooks(2, 6), {}),
     ],
 )
 def test_identity(spark, model, flags):
     pairs, s = _session(spark, model, **flags)
     r = random.Random(3)
-    for _ in range(2 if model.name == "gcn" else 1):
+    for _ in range(2):
         gone = r.sample(pairs, 4)
         new = [p for p in (tuple(sorted(r.sample(range(N), 2))) for _ in range(6)) if p not in pairs]
         out, stats = s.apply(_changes(spark, [("del", *p) for p in gone] + [("add", *p) for p in new]))
@@ -76,8 +78,69 @@ def test_special_batches(spark):
     assert s.checkpoint(1, "agg").where((F.col("node_id") == hub) & F.col("vec").isNull()).count() == 1
     s.apply(_changes(spark, [("add", *p) for p in mine]))  # undo
     assert diff_count(s.outputs(), before) == 0
+    was = [cut(s.outputs(v)) for v in range(s.state.version + 1)]
+    assert diff_count(was[0], was[1]) > 0
     s.compact()
-    assert diff_count(s.outputs(), before) == 0
+    for v, rows in enumerate(was):  # earlier versions stay what they were
+        assert diff_count(s.outputs(v), rows) == 0
+    s.apply(_changes(spark, [("del", *mine[0])]))
+    _check(s)
+    assert diff_count(s.outputs(2), was[2]) == 0
+    s.state.forget(2)
+    with pytest.raises(ValueError, match="no longer kept"):
+        s.outputs(0)
+    _check(s)
+
+
+def test_a_failed_batch_can_be_repeated(spark, monkeypatch, tmp_path):
+    """A commit that breaks off changes nothing; the batch is applied on retry, and a stored state is taken up where it was."""
+    pairs, s = _session(spark, M.sage(2, 4), state_dir=f"{tmp_path}/state")
+    batch = _changes(spark, [("del", *pairs[0]), ("del", *pairs[7])])
+    before, save = cut(s.outputs()), State.save
+    for broken in ("save", "log"):
+        with monkeypatch.context() as m:
+            if broken == "save":
+                m.setattr(State, "save", lambda self: (_ for _ in ()).throw(OSError("lost")))
+            else:
+                m.setattr(incremental, "run_tail", lambda *a: (_ for _ in ()).throw(OSError("lost")))
+            with pytest.raises(OSError, match="lost"):
+                s.apply(batch)
+        assert s.state.version == 0 and diff_count(s.outputs(), before) == 0 and s.edges.now().count() == 2 * len(pairs)
+    assert State.save is save
+    s.apply(batch)
+    assert s.state.version == 1 and s.edges.now().count() == 2 * len(pairs) - 4
+    _check(s)
+    again = IncrementalSession.resume(spark, s.model, s.nodes, f"{tmp_path}/state")
+    assert again.state.version == 1 and diff_count(again.outputs(), s.outputs()) == 0
+    again.apply(_changes(spark, [("add", *pairs[0])]))
+    _check(again)
+    assert diff_count(again.outputs(0), before) == 0
+
+
+def test_many_versions_are_compacted(spark, monkeypatch):
+    monkeypatch.setattr(state, "COMPACT", 2)
+    pairs, s = _session(spark, M.gcn(1, 4))
+    before = cut(s.outputs())
+    for p in pairs[:3]:
+        s.apply(_changes(spark, [("del", *p)]))
+    assert [b[0] for b in s.state.msg[2].bases] == [0, 2] and s.state.version == 3
+    _check(s)
+    assert diff_count(s.outputs(0), before) == 0
+
+
+def test_a_small_batch_reads_few_buckets(spark):
+    """One changed edge is looked up as literals in its buckets' folders, in states and in both layouts of the edges."""
+    nodes = cut(spark.range(4000).select(F.col("id").alias("node_id")))
+    ring = cut(T.directed(spark.range(4000).select(F.col("id").alias("a"), ((F.col("id") + 1) % 4000).alias("b"))))
+    s = IncrementalSession(spark, M.gcn(1, 4), cut(G.hashed_features(nodes, 4)), ring, buckets=16).bootstrap()
+    ids = ids_of(hold(spark.createDataFrame([(5,), (9,)], "node_id long")))
+    for rows in (s.edges.out_of(ids), s.edges.into(ids), s.state.agg[1].lookup(ids)):
+        read = [f for f in rows.inputFiles()]
+        plan = rows._jdf.queryExecution().executedPlan().toString()
+        assert "PushedFilters: [In(" in plan and "Join" not in plan and len(read) <= 16
+        assert len({f.split("bucket=")[1].split("/")[0] for f in rows.where("1 = 1").select(F.input_file_name().alias("f")).distinct().toPandas()["f"]}) <= 2
+    s.apply(_changes(spark, [("del", 5, 6)]))
+    _check(s)
 
 
 def test_ungrouped_events_go_wrong(spark):
@@ -102,23 +165,30 @@ def test_nodes_and_features(spark):
 
 
 def test_hooks_touch_a_node(spark):
-    """A user event that names nodes and shifts what the tail reads."""
-    emit = lambda changed, ctx: ctx["spark"].createDataFrame([(1, 5.0), (1, 7.0)], "node_id long, x double")
-    merge = lambda e: e.groupBy("node_id").agg(F.max("x").alias("x"))
-    apply = lambda rows, merged: rows.join(merged, "node_id", "left").select("node_id", F.when(F.col("x").isNotNull(), F.transform("agg", lambda v: v + F.col("x"))).otherwise(F.col("agg")).alias("agg"))
+    """A user event of a changed message that names another node: both modes agree, and what isn't named again is remembered."""
+    emit = lambda changed, stage: changed.select((F.col("node_id") % 5).alias("node_id"), F.col("node_id").alias("from"), F.col("new").alias("vec"))
+    merge = lambda e: e.groupBy("node_id").agg(F.max_by("vec", "from").alias("vec")).where("node_id = 1")
+    apply = lambda rows, user: rows.join(user, "node_id", "left").select("node_id", F.when(F.col("vec").isNotNull(), F.zip_with(F.coalesce("agg", F.array_repeat(F.lit(0.0), 4)), "vec", lambda a, v: a + v)).otherwise(F.col("agg")).alias("agg"))
     pairs, s = _session(spark, M.gcn(1, 4).with_hooks(emit, merge, apply))
-    old = {r.node_id: r.vec for r in s.outputs().collect()}
-    free = next((a, b) for a in range(10, N) for b in range(a + 1, N) if (a, b) not in pairs)
-    s.apply(_changes(spark, [("add", *free)]))
-    new = {r.node_id: r.vec for r in s.outputs().collect()}
-    assert new[1] == [v + 7.0 for v in old[1]]
+    assert diff_count(s.outputs(), full_infer(s.nodes, s.edges.now(), s.model)) == 0
+    assert diff_count(s.outputs(), full_infer(s.nodes, s.edges.now(), M.gcn(1, 4))) == 2  # node 1 alone
+    mine = next(p for p in pairs if 1 in p)
+    s.apply(_changes(spark, [("del", *mine)]))
+    assert diff_count(s.outputs(), full_infer(s.nodes, s.edges.now(), s.model)) == 0
+
+
+def test_graphsage_by_hooks_is_graphsage(spark):
+    _, df, nodes = _graph(spark)
+    x, e = cut(G.hashed_features(nodes, 6)), cut(T.directed(df))
+    assert diff_count(full_infer(x, e, M.sage_by_hooks(2, 6)), full_infer(x, e, M.sage(2, 6))) == 0
+    assert user_lines(M.sage_by_hooks) < 10
 
 
 def test_areas_hold_what_changes(spark):
     pairs, s = _session(spark, M.gcn(2, 4))
     before = cut(s.edges.now())
     s.apply(_changes(spark, [("del", *pairs[5]), ("del", *pairs[20])]))
-    after, delta = cut(s.edges.now()), s.edges.changed
+    after, delta = cut(s.edges.now()), s.edges.by["src"].log().select("src", "dst", "op")
     real = {r.node_id for r in s.outputs().join(s.outputs(0).withColumnRenamed("vec", "o"), "node_id").where("o <> vec").collect()}
     tight = {r.node_id for r in A.area(delta, before, after, 2, "tight").collect()}
     ball = {r.node_id for r in A.area(delta, before, after, 2).collect()}
