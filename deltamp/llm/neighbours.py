@@ -37,7 +37,7 @@ FIT_ROWS, CELL, CENTROIDS, FIT_ROUNDS = 20_000, 64, 256, 12
 #: Recall that the share of rows is chosen for, and queries of the sample that it is measured with.
 RECALL, TRIALS = 0.97, 256
 #: Entries and queries of a group, and results that a task holds before it merges them.
-PART, BLOCK, HELD = 2048, 1024, 500_000
+PART, BLOCK, HELD = 512, 1024, 500_000
 
 
 @dataclass
