@@ -30,6 +30,12 @@ def test_redelivered_and_late(spark):
     runner(_events(spark, [(4, 1, 0, 1, "error"), (5, 9, 1, 1, "error")]), 1)  # the first is older than what the pair has seen
     assert {(r.src, r.dst) for r in s.edges.now().collect()} == {(0, 5), (5, 0), (8, 9), (9, 8)}
     assert diff_count(s.outputs(), full_infer(nodes, s.edges.now(), s.model)) == 0
+    again = IncrementalSession.resume(spark, s.model, nodes, s.state.path)  # a new process takes up the stored state
+    restarted = StreamRunner(again)
+    restarted(first, 0)
+    assert restarted.done == 1 and again.state.version == s.state.version
+    restarted(_events(spark, [(6, 8, 1, 1, "view"), (7, 11, 0, 2, "view")]), 2)  # the first is older than the pair's last event
+    assert {(r.src, r.dst) for r in again.edges.now().collect()} == {(0, 5), (5, 0), (8, 9), (9, 8), (0, 9), (9, 0)}
     assert changes_of(first).count() == 3
     assert windowed_counts(first).agg(F.sum("n")).first()[0] == 3 and sessions(first).count() == 3
 
