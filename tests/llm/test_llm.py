@@ -74,7 +74,7 @@ def test_language_stage_rejects_what_was_not_learned(spark, docs, learned):
 def test_language_kernel_is_the_presence_kernel():
     texts = ["abab", "abc", "xyz", ""]
     raw, at, _ = pa_text = __import__("deltamp.llm.textbuf", fromlist=["x"]).utf8(pa.array(texts))
-    grams, ends, has = language.presence(raw, at, [ord(c) for c in "abcxyz"])
+    grams, ends, has = language.presence(raw, at)
     index, rows = language.blended(grams, ends)
     got = [set(index[rows == i].tolist()) for i in range(4)]
     plain = lambda t: {(n, (t + "\0\0")[i : i + n]) for n in (1, 2, 3) for i in range(len(t))}
@@ -84,6 +84,24 @@ def test_language_kernel_is_the_presence_kernel():
     assert has.tolist() == [True, True, True, False] and pa_text is not None
 
 
+def test_any_script_and_any_number_of_languages(spark, monkeypatch):
+    """300 languages, each with letters of its own from all over the code points, and one text of a language repeated often."""
+    letters = [chr(c) for c in range(0x4E00, 0x4E00 + 900)]
+    text = lambda k, r: "".join(r.choice(letters[3 * k : 3 * k + 3] + [" "]) for _ in range(40)) + letters[3 * k]
+    r = random.Random(3)
+    rows = [(10 * k + i, text(k, r), f"l{k:03}", None, 0) for k in range(300) for i in range(3)] + [(1, text(0, random.Random(1)), "l000", None, 0)] * 500
+    train = spark.createDataFrame(rows, DOCS)
+    model = language.fit(train, F.lit(True))
+    assert len(model.languages) == 300 and model.mix is not None
+    new = [text(k, r) for k in range(300)]
+    names = language.predict(pa.array(new), model)[0]
+    assert sum(a == f"l{k:03}" for k, a in enumerate(names)) >= 150  # 256 landmarks can't tell all 300 apart
+    monkeypatch.setattr(language, "PER_LANGUAGE", 2)
+    monkeypatch.setattr(language, "FIT_BYTES", 300 * 200)
+    picked = language.sample(train, F.lit(True), "lang", "text", "doc_id").groupBy("label").count().collect()
+    assert len(picked) == 300 and {x["count"] for x in picked} <= {1, 2}
+
+
 def test_quality(spark, docs):
     labels = spark.read.parquet(f"{SF}/labels.parquet")
     model = quality.fit(docs, labels, F.lit(True))
