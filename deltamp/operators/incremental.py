@@ -14,7 +14,7 @@ from deltamp.operators.classify import apply_incremental, classify, exposed_bloc
 from deltamp.operators.dense import release, run_tail
 from deltamp.operators.events import attach, frontier_events, reduce_events, seed_events
 from deltamp.operators.full import bootstrap
-from deltamp.operators.state import Held, State, cut, hold, ids_of, small
+from deltamp.operators.state import Held, State, cut, hold, hold_equal, ids_of, small
 from deltamp.plans.model import ModelSpec, Stage, validate
 from deltamp.sources.temporal import net_delta
 
@@ -114,7 +114,7 @@ def advance(state: State, delta: Held, model: ModelSpec, options: Options, chang
         rows = hold(rows)
         step.phases[f"events_{s}"] = time.perf_counter() - clock
         clock = time.perf_counter()
-        exposed, pulled = hold(rows.df.where("condition = 'exposed_reset'" if options.mode == "grouped" else str(options.mode == "recompute_all"))), 0
+        exposed, pulled = rows if options.mode == "recompute_all" else hold_equal(rows, "condition", "exposed_reset"), 0
         now = rows.df
         if exposed.n:
             blocks = hold(exposed_blocks(exposed.df, how, stage.width)) if options.recompute_scope == "block" and options.mode == "grouped" else None
@@ -151,7 +151,7 @@ def advance(state: State, delta: Held, model: ModelSpec, options: Options, chang
             step.phases[f"transform_{s}"] = time.perf_counter() - clock
             continue
         ids = ids_of(touched)
-        unknown = hold(touched.df.where("known IS NULL").select("node_id"))
+        unknown = hold_equal(touched, "known", None)
         full = touched.df.select("node_id", "agg")
         if unknown.n:
             stored = aggregates.lookup(ids_of(unknown)).withColumnRenamed("vec", "kept")

@@ -10,6 +10,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,6 +18,8 @@ from pyspark.sql import functions as F
 BROADCAST_BYTES = 64 << 20
 #: Rows up to which an intermediate result is held by the driver, as literals of the plans that read it; more are checkpointed.
 SMALL = 1000
+#: Buckets up to which the rows of few ids are read by one task.
+FEW_BUCKETS = 8
 #: Rows of a bucket that are aimed at, and buckets at least and at most.
 BUCKET_ROWS, BUCKETS = 50_000, (8, 8192)
 #: Versions after which a new base is written.
@@ -59,11 +62,25 @@ def hold(df: DataFrame) -> Held:
     """Evaluates ``df`` once: few rows are kept as literals, which costs no file and no further job, others in the shared folder."""
     few = df.limit(SMALL + 1).toArrow()
     if few.num_rows <= SMALL:
-        return Held(df.sparkSession.createDataFrame(few, df.schema), few.num_rows, few)
+        return literal(few, df)
     kept = cut(df)
     return Held(kept, kept.count())
 
 
+def literal(rows: pa.Table, like: DataFrame) -> Held:
+    """Few rows, with the columns of ``like``, in one partition: what groups or joins them with others in one needs no exchange."""
+    return Held(like.sparkSession.createDataFrame(rows, like.schema).coalesce(1), rows.num_rows, rows)
+
+
+def hold_equal(rows: Held, column: str, value: str | None) -> Held:
+    """The rows that have a value (None: null) in a column; of rows held by the driver they are found without a job."""
+    if rows.table is None:
+        return hold(rows.df.where(F.col(column).eqNullSafe(F.lit(value))))
+    found = rows.table.column(column)
+    hit = rows.table.filter(pc.is_null(found) if value is None else pc.equal(found, value))
+    return literal(hit if hit.num_rows else rows.table.schema.empty_table(), rows.df)
+
+
 @dataclass
 class Ids:
     """Distinct ids (node_id), their number, and their values if they are few."""
@@ -84,7 +101,7 @@ def ids_of(rows: Held, column: str = "node_id", without: Held | None = None) ->
         found = np.unique(rows.table.column(column).to_numpy())
         if without is not None:
             found = np.setdiff1d(found, without.table.column("node_id").to_numpy())
-        return Ids(spark.createDataFrame(pa.table({"node_id": pa.array(found, pa.int64())}), "node_id long"), len(found), found.tolist())
+        return Ids(spark.createDataFrame(pa.table({"node_id": pa.array(found, pa.int64())}), "node_id long").coalesce(1), len(found), found.tolist())
     found = rows.df.select(F.col(column).alias("node_id")).distinct()
     held = hold(found if without is None else found.join(without.df.select("node_id"), "node_id", "left_anti"))
     return Ids(held.df, held.n, held.table.column("node_id").to_pylist() if held.table is not None else None)
@@ -155,8 +172,19 @@ class Table:
         return base.join(newest.select("node_id"), "node_id", "left_anti").unionByName(newest)
 
     def lookup(self, ids: Ids, version: int | None = None) -> DataFrame:
-        """Rows of distinct ids: few ids are literals that prune the base to buckets and row groups, more are broadcast or shuffled."""
-        return self.read(version, ids)
+        """Rows of distinct ids: few ids are literals that prune the base to buckets and row groups, more are broadcast or shuffled.
+
+        The rows of few ids, one of each in the base and in a log, are grouped once by id, within one task if they lie in few
+        buckets.
+        """
+        if ids.values is None:
+            return self.read(version, ids)
+        (_, buckets), _ = self._at(version)
+        base, log = self.base(version, ids).select("node_id", "vec"), self.log(version, ids)
+        rows = base if log is None else base.withColumn("version", F.lit(-1)).unionByName(log.select("node_id", "vec", "version"))
+        if len({bucket_of(i, buckets) for i in ids.values}) <= FEW_BUCKETS:
+            rows = rows.coalesce(1)
+        return rows if log is None else rows.groupBy("node_id").agg(F.expr("max_by(vec, version) AS vec"))
 
 
 class Edges:
