@@ -1,7 +1,9 @@
 """Incremental results are the full pass's bits, in every checkpoint, over random and special batches."""
 
+import itertools
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -9,7 +11,7 @@ from deltamp.operators import affected as A
 from deltamp.operators.extras import cached_sample, choose, diff_count, extend_sample
 from deltamp.operators.features import delete_nodes, insert_nodes
 from deltamp.operators.full import aggregate, complete, full_infer
-from deltamp.operators import incremental, state
+from deltamp.operators import incremental, minibatch, state
 from deltamp.operators.incremental import IncrementalSession
 from deltamp.operators.metrics import user_lines
 from deltamp.operators.state import State, cut, hold, ids_of
@@ -197,6 +199,41 @@ def test_areas_hold_what_changes(spark):
     assert diff_count(A.overlay(s.outputs(0), out), s.outputs()) == 0 and fetched <= N
 
 
+@pytest.mark.parametrize("model", [M.gcn(2, 6), M.sage(2, 6, "max"), M.isonet(3, 4, "max")])
+def test_minibatches_write_no_balls(spark, monkeypatch, model):
+    """Nodes without links, and hubs that are in every ball: results and reads of the joins, but rows of the roots alone are written."""
+    _, df, _ = _graph(spark)
+    nodes = cut(spark.range(N + 2).select(F.col("id").alias("node_id")))
+    edges = cut(T.directed(df.unionByName(spark.range(N - 1).select(F.col("id").alias("a"), F.lit(N - 1).cast("long").alias("b")))).distinct())
+    features, rows = cut(G.hashed_features(nodes, model.width)), []
+
+    def counted(x):
+        rows.append((out := cut(x)).count())
+        return out
+
+    want = full_infer(features, edges, model)
+    monkeypatch.setattr(minibatch, "cut", counted)
+    out, reads = minibatch.minibatch_infer(nodes, features, edges, model, 4)
+    assert diff_count(out.select("node_id", "vec"), want) == 0
+    assert rows == [N + 2] and reads > 5 * N
+    monkeypatch.setattr(minibatch, "BROADCAST_BYTES", 0)
+    monkeypatch.setattr(minibatch, "WAVE_ROWS", 6 * N)
+    joined, again = minibatch.minibatch_infer(nodes, features, edges, model, 4)
+    assert diff_count(joined, out) == 0 and again == reads
+
+
+def test_minibatch_aggregates_in_pieces(monkeypatch):
+    g = minibatch.Loaded(np.arange(4), np.zeros((4, 1)), np.array([0, 5, 5, 6, 9]), np.array([0, 1, 2, 3, 1, 2, 3, 0, 1], np.int32))
+    messages = np.array([[4.0, 9.0], [np.nan, 1.0], [7.0, 2.0], [5.0, np.nan]])
+    for step in (1, 2, 3, 100):
+        got = [(at.tolist(), part.tolist()) for part, at, _ in g.pieces(np.array([0, 2, 3]), step)]
+        assert sum((p for _, p in got), []) == g.src.tolist()
+    cases = (("min", [[4, 1], [0, 0], [7, 2], [4, 1]]), ("max", [[np.nan, np.nan], [0, 0], [7, 2], [np.nan, np.nan]]))
+    for (how, want), size in itertools.product(cases, (1, 4, 6, 200)):
+        monkeypatch.setattr(minibatch, "PIECE", size)
+        np.testing.assert_array_equal(g.aggregate(np.arange(4), messages, how, 0.0), np.array(want, float))
+
+
 def test_rejected_ops():
     for ops, name in (((M.Select("mean"),), "select mean"), ((M.Unsupported("batch norm"), M.Select()), "batch norm"), ((M.Attention(None, None),), "attention")):
         with pytest.raises(M.NotIncremental, match=name):
