@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import wraps
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -20,7 +21,7 @@ from deltamp.operators.incremental import IncrementalSession
 from deltamp.operators.state import cut
 from deltamp.plans import model as M
 from deltamp.plans import oracle as O
-from deltamp.plans.runs import run, stream
+from deltamp.plans.runs import apart, run, stream
 from deltamp.sources import graphs as G
 from deltamp.sources import temporal as T
 
@@ -34,7 +35,12 @@ HELD_OUT, MEASURED, STEP = 1000, 300, 100
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
     def add(f: Query) -> Query:
-        QUERIES[name] = f
+        @wraps(f)
+        def alone(s: SparkSession, d: str) -> DataFrame:
+            with apart():
+                return f(s, d)
+
+        QUERIES[name] = alone
         if sql:
             ORACLE[name] = sql
         return f

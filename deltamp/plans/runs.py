@@ -1,8 +1,11 @@
-"""Runs of the experiment workloads, shared by the queries that look at the same run."""
+"""Runs of the experiment workloads, shared by the parts of a query that look at the same run."""
 
 from __future__ import annotations
 
 import time
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
+from contextvars import ContextVar
 from dataclasses import dataclass, field
 from functools import cached_property
 
@@ -107,19 +110,32 @@ class Run:
         return full_infer(self.stream.features(self.d), self.stream.after, self.model)
 
 
-_streams: dict[tuple, Stream] = {}
-_runs: dict[tuple, Run] = {}
+_kept: ContextVar[dict | None] = ContextVar("kept", default=None)
+
+
+@contextmanager
+def apart() -> Iterator[None]:
+    """Streams and runs are shared within the block and with nothing outside: each query reads its tables itself, as they are then."""
+    token = _kept.set({})
+    try:
+        yield
+    finally:
+        _kept.reset(token)
+
+
+def _shared(key: tuple, make: Callable):
+    kept = _kept.get()
+    if kept is None:
+        return make()
+    if key not in kept:
+        kept[key] = make()
+    return kept[key]
 
 
 def stream(spark: SparkSession, sf_dir: str, graph: str, held: int = 20) -> Stream:
-    key = (spark.sparkContext.applicationId, sf_dir, graph, held)
-    if key not in _streams:
-        _streams[key] = Stream(spark, sf_dir, graph, held)
-    return _streams[key]
+    return _shared((sf_dir, graph, held), lambda: Stream(spark, sf_dir, graph, held))
 
 
 def run(spark: SparkSession, sf_dir: str, graph: str, kind: str = "gcn", k: int = 2, d: int = 8, how: str = "min", held: int = 20, batch: int = 10, **options) -> Run:
-    key = (spark.sparkContext.applicationId, sf_dir, graph, kind, k, d, how, held, batch, tuple(sorted(options.items())))
-    if key not in _runs:
-        _runs[key] = Run(stream(spark, sf_dir, graph, held), kind, k, d, how, batch, tuple(sorted(options.items())))
-    return _runs[key]
+    chosen = tuple(sorted(options.items()))
+    return _shared((sf_dir, graph, kind, k, d, how, held, batch, chosen), lambda: Run(stream(spark, sf_dir, graph, held), kind, k, d, how, batch, chosen))
