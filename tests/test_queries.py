@@ -10,6 +10,7 @@ from deltamp.sources import graphs as G
 SF = "/root/testdata/sf0.001"
 READS = {
     "area_source_ball_k2": {"orders", "lineitem"},
+    "area_tight_k2": {"orders", "lineitem"},
 }
 
 
