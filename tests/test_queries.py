@@ -11,6 +11,7 @@ SF = "/root/testdata/sf0.001"
 READS = {
     "area_source_ball_k2": {"orders", "lineitem"},
     "area_tight_k2": {"orders", "lineitem"},
+    "gcn_aggfirst_full": {"events"},
 }
 
 
