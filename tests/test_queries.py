@@ -12,6 +12,7 @@ READS = {
     "area_source_ball_k2": {"orders", "lineitem"},
     "area_tight_k2": {"orders", "lineitem"},
     "gcn_aggfirst_full": {"events"},
+    "gcn_full": {"events"},
 }
 
 
