@@ -13,6 +13,7 @@ READS = {
     "area_tight_k2": {"orders", "lineitem"},
     "gcn_aggfirst_full": {"events"},
     "gcn_full": {"events"},
+    "gcn_full_max": {"events"},
 }
 
 
