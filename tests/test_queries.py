@@ -14,6 +14,7 @@ READS = {
     "gcn_aggfirst_full": {"events"},
     "gcn_full": {"events"},
     "gcn_full_max": {"events"},
+    "iso_full": {"events"},
 }
 
 
