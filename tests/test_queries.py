@@ -15,6 +15,7 @@ READS = {
     "gcn_full": {"events"},
     "gcn_full_max": {"events"},
     "iso_full": {"events"},
+    "link_scores_topk": {"events"},
 }
 
 
