@@ -16,6 +16,7 @@ READS = {
     "gcn_full_max": {"events"},
     "iso_full": {"events"},
     "link_scores_topk": {"events"},
+    "mean_full": {"events"},
 }
 
 
