@@ -17,6 +17,7 @@ READS = {
     "iso_full": {"events"},
     "link_scores_topk": {"events"},
     "mean_full": {"events"},
+    "memory_access_affected": {"orders", "lineitem"},
 }
 
 
