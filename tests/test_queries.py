@@ -18,6 +18,7 @@ READS = {
     "link_scores_topk": {"events"},
     "mean_full": {"events"},
     "memory_access_affected": {"orders", "lineitem"},
+    "net_delta_add": {"events"},
 }
 
 
