@@ -19,6 +19,7 @@ READS = {
     "mean_full": {"events"},
     "memory_access_affected": {"orders", "lineitem"},
     "net_delta_add": {"events"},
+    "report_rollup": {"events"},
 }
 
 
