@@ -4,7 +4,7 @@ import shutil
 
 import pytest
 
-from deltamp.plans import queries
+from deltamp.plans import queries, workloads
 from deltamp.sources import graphs as G
 
 SF = "/root/testdata/sf0.001"
@@ -48,3 +48,9 @@ def test_changed_table(spark, tmp_path):
     shutil.copy(next((at / "half").glob("part-*.parquet")), at / "events.parquet")
     half = {(r.side, r.op): r.n for r in queries.QUERIES["report_rollup"](spark, str(at)).collect()}
     assert 0 < half[None, None] < whole[None, None]
+
+
+def test_code_size_is_no_query():
+    assert "code_size" not in queries.QUERIES
+    assert workloads.code_size()["sage_by_hooks"] < 10
+    assert set(workloads.code_size()) == {"gcn", "sage", "isonet", "sage_by_hooks"}
