@@ -6,27 +6,35 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from deltamp.operators.full import aggregate, complete, first_messages, next_messages
-from deltamp.operators.state import cut, small
+from deltamp.operators.state import Ids, cut, small
 from deltamp.plans.model import ModelSpec
 
 
-def grow(seeds: DataFrame, edges: DataFrame, hops: int, side: tuple[str, str] = ("src", "dst")) -> DataFrame:
+def at(edges, nodes: DataFrame, side: str) -> DataFrame:
+    """The edges that have one of the distinct nodes at a side; ``edges`` is a frame or looked up by its nodes."""
+    ids = Ids(nodes.select("node_id"), nodes.count())
+    if isinstance(edges, DataFrame):
+        return edges.join(small(ids.df.withColumnRenamed("node_id", side), ids.n), side, "left_semi")
+    return edges.out_of(ids) if side == "src" else edges.into(ids)
+
+
+def grow(seeds: DataFrame, edges, hops: int, side: tuple[str, str] = ("src", "dst")) -> DataFrame:
     """(node_id, hop): nodes within so many hops of the seeds along the edges, with the least hop."""
     here, there = side
     found = cut(seeds.select("node_id").distinct().withColumn("hop", F.lit(0)))
     front = found
     for hop in range(1, hops + 1):
-        step = edges.join(small(front.select(F.col("node_id").alias(here)), front.count()), here).select(F.col(there).alias("node_id")).distinct()
+        step = at(edges, front, here).select(F.col(there).alias("node_id")).distinct()
         front = cut(step.join(found, "node_id", "left_anti").withColumn("hop", F.lit(hop)))
         found = cut(found.unionByName(front))
     return found
 
 
-def area(delta: DataFrame, before: DataFrame, after: DataFrame, k: int, mode: str = "source_ball") -> DataFrame:
+def area(delta: DataFrame, before, after, k: int, mode: str = "source_ball") -> DataFrame:
     """(node_id, hop) of the theoretical area.
 
     ``source_ball``: k hops over old and new edges around the sources of changed edges. ``tight``: their targets and
-    k - 1 hops on; each stage is seeded again, so the hops may use new edges alone.
+    k - 1 hops on; each stage is seeded again, so the hops may use new edges alone, as a frame or looked up.
     """
     if mode == "source_ball":
         return grow(delta.select(F.col("src").alias("node_id")), before.unionByName(after).distinct(), k)

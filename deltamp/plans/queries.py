@@ -200,7 +200,7 @@ for _k in (1, 2, 3):
 @query("area_tight_k2", O.graph_only("cust_part", HELD, f", {O.ball(1, 'e', 'SELECT DISTINCT dst AS node_id FROM delta')} SELECT node_id FROM h1"))
 def area_tight_k2(s: SparkSession, d: str) -> DataFrame:
     st = stream(s, d, "cust_part", HELD)
-    return A.area(st.delta, st.before, st.after, 2, "tight").select("node_id")
+    return A.area(st.delta, st.old, st.new, 2, "tight").select("node_id")
 
 
 @query("real_affected", O.both("cust_part", MEASURED, "gcn", 2, D, "min", "SELECT b.node_id FROM bm3 b JOIN cm3 c USING (node_id) WHERE b.v <> c.v"))

@@ -41,17 +41,22 @@ class Stream:
         return cut(G.GRAPHS[self.graph](self.spark, self.sf_dir))
 
     @cached_property
-    def parts(self) -> tuple[DataFrame, DataFrame]:
-        before, changes = T.held_out(self.log, self.held)
-        return cut(T.snapshot(before)), cut(changes)
+    def changes(self) -> DataFrame:
+        return cut(T.newest(self.log, self.held))
 
-    @property
-    def before(self) -> DataFrame:
-        return self.parts[0]
+    @cached_property
+    def old(self) -> T.LogEdges:
+        """``before`` for lookups of few nodes."""
+        return T.LogEdges(T.without(self.log, self.changes))
 
-    @property
-    def changes(self) -> DataFrame:
-        return self.parts[1]
+    @cached_property
+    def new(self) -> T.LogEdges:
+        """``after`` for lookups of few nodes."""
+        return T.LogEdges(self.log)
+
+    @cached_property
+    def before(self) -> DataFrame:
+        return cut(T.snapshot(self.old.log))
 
     @cached_property
     def after(self) -> DataFrame:
@@ -63,7 +68,7 @@ class Stream:
 
     @cached_property
     def delta(self) -> DataFrame:
-        return T.net_delta(self.changes, self.before).df
+        return T.net_delta(self.changes, self.old).df
 
     def features(self, d: int) -> DataFrame:
         if d not in self.kept:

@@ -31,8 +31,9 @@ def _simulated(pairs: DataFrame) -> DataFrame:
     """Log of pairs (x, y, t): an insert at t, and for one pair in five a delete 1 to 90 days later."""
     one = _canonical(pairs).groupBy("a", "b").agg(F.min("t").alias("t"))
     h = pair_hash(F.col("a"), F.col("b"))
-    gone = one.where(h % 5 == 0).select((F.col("t") + F.make_interval(days=(1 + h % 90).cast("int"))).alias("t"), F.lit("del").alias("op"), "a", "b")
-    return one.select("t", F.lit("add").alias("op"), "a", "b").unionByName(gone)
+    change = lambda t, op: F.struct(t.alias("t"), F.lit(op).alias("op"))
+    add, gone = change(F.col("t"), "add"), change(F.col("t") + F.make_interval(days=(1 + h % 90).cast("int")), "del")
+    return one.select(F.inline(F.when(h % 5 == 0, F.array(add, gone)).otherwise(F.array(add))), "a", "b")  # the pairs are made once
 
 
 def _hashed_days(a: Column, b: Column) -> Column:

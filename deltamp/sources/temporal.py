@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from deltamp.operators.state import Held, hold, ids_of, small
+from deltamp.operators.state import BROADCAST_BYTES, Held, Ids, hold, ids_of, small
 
 
 def pairs_after(log: DataFrame) -> DataFrame:
@@ -24,6 +24,29 @@ def snapshot(log: DataFrame) -> DataFrame:
     return directed(pairs_after(log))
 
 
+class LogEdges:
+    """The snapshot of a log, looked up by few nodes: their changes alone are grouped, and no snapshot is written.
+
+    Pays off for a few lookups of nodes within the broadcast bound; more nodes are looked up in the whole snapshot.
+    """
+
+    def __init__(self, log: DataFrame) -> None:
+        self.log = log
+
+    def out_of(self, ids: Ids) -> DataFrame:
+        if ids.n * 16 > BROADCAST_BYTES:
+            return snapshot(self.log).join(ids.df.withColumnRenamed("node_id", "src"), "src", "left_semi")
+        near = self.log
+        for end in ("a", "b"):
+            near = near.join(F.broadcast(ids.df.select(F.col("node_id").alias(end), F.lit(True).alias(f"{end}_in"))), end, "left")
+        last = near.where("a_in OR b_in").groupBy("a", "b").agg(F.max_by("op", "t").alias("op"), F.max("a_in").alias("a_in"), F.max("b_in").alias("b_in")).where("op = 'add'")
+        return last.where("a_in").select(F.col("a").alias("src"), F.col("b").alias("dst")).unionByName(last.where("b_in").select(F.col("b").alias("src"), F.col("a").alias("dst")))
+
+    def into(self, ids: Ids) -> DataFrame:
+        """Every edge has its opposite."""
+        return self.out_of(ids).select(F.col("dst").alias("src"), F.col("src").alias("dst"))
+
+
 def intervals(log: DataFrame) -> DataFrame:
     """Directed temporal edges (src, dst, t_add, t_del), half open; a repeated insert opens nothing new."""
     w = W.partitionBy("a", "b").orderBy("t")
@@ -42,13 +65,16 @@ def latest_pairs(log: DataFrame, n: int = 500_000) -> DataFrame:
     return last.orderBy(F.desc("t"), F.desc("a"), F.desc("b")).limit(n // 2)
 
 
-def held_out(log: DataFrame, n: int) -> tuple[DataFrame, DataFrame]:
-    """The log without its newest ``n`` changes, and these with their number from 0 on (a top-k, then a window over n rows)."""
-    newest = log.orderBy(F.desc("t"), F.desc("a"), F.desc("b")).limit(n)
-    numbered = newest.withColumn("seq", F.row_number().over(W.orderBy("t", "a", "b")) - 1)
-    edge = newest.agg(F.min(F.struct("t", "a", "b")).alias("e"))
-    before = log.join(F.broadcast(edge)).where(F.struct("t", "a", "b") < F.col("e")).drop("e")
-    return before, numbered
+def newest(log: DataFrame, n: int) -> DataFrame:
+    """The newest ``n`` changes of the log with their number from 0 on (a top-k, then a window over n rows)."""
+    last = log.orderBy(F.desc("t"), F.desc("a"), F.desc("b")).limit(n)
+    return last.withColumn("seq", F.row_number().over(W.orderBy("t", "a", "b")) - 1)
+
+
+def without(log: DataFrame, changes: DataFrame) -> DataFrame:
+    """The log before its newest changes."""
+    edge = changes.agg(F.min(F.struct("t", "a", "b")).alias("e"))
+    return log.join(F.broadcast(edge)).where(F.struct("t", "a", "b") < F.col("e")).drop("e")
 
 
 def batches(changes: DataFrame, size: int) -> DataFrame:
@@ -61,7 +87,7 @@ def net_delta(changes: DataFrame, edges) -> Held:
     delta = hold(directed(last))
     if isinstance(edges, DataFrame):
         near = edges.join(small(delta.df.select("src", "dst"), delta.n), ["src", "dst"], "left_semi")
-    else:  # stored edges: those of the sources alone
+    else:  # stored edges, or a log's: those of the sources alone
         near = edges.out_of(ids_of(delta, "src"))
     here = near.withColumn("here", F.lit(True))
     return hold(delta.df.join(here, ["src", "dst"], "left").where((F.col("op") == "add") == F.col("here").isNull()).select("src", "dst", "op"))
