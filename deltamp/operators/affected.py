@@ -41,12 +41,12 @@ def area(delta: DataFrame, before, after, k: int, mode: str = "source_ball") ->
     return grow(delta.select(F.col("dst").alias("node_id")), after, k - 1)
 
 
-def need_sets(targets: DataFrame, edges: DataFrame, model: ModelSpec) -> list[DataFrame]:
+def need_sets(targets: DataFrame, edges, model: ModelSpec) -> list[DataFrame]:
     """Nodes whose message of stage s (1 .. k + 1) is needed for the targets' outputs, walked backwards."""
     need = [cut(targets.select("node_id").distinct())]
     for stage in reversed(model.stages()[1:]):
         last = need[0]
-        sources = edges.join(small(last.select(F.col("node_id").alias("dst")), last.count()), "dst", "left_semi").select(F.col("src").alias("node_id"))
+        sources = at(edges, last, "dst").select(F.col("src").alias("node_id"))
         need.insert(0, cut((sources.unionByName(last) if stage.self_term else sources).distinct()))
     return need
 

@@ -257,8 +257,8 @@ def condition_counts_stage1(s: SparkSession, d: str) -> DataFrame:
 def memory_access_affected(s: SparkSession, d: str) -> DataFrame:
     """Feature rows that affected-area inference fetches."""
     st = stream(s, d, "cust_part", HELD)
-    inside = A.area(st.delta, st.before, st.after, 2, "tight")
-    return A.need_sets(inside, st.after, run(s, d, "cust_part", held=HELD).model)[0].agg(F.count("*").alias("n_rows"))
+    inside = A.area(st.delta, st.old, st.new, 2, "tight")
+    return A.need_sets(inside, st.new, run(s, d, "cust_part", held=HELD).model)[0].agg(F.count("*").alias("n_rows"))
 
 
 @query("memory_access_incremental")

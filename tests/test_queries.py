@@ -79,7 +79,7 @@ def test_tasks_read_each_row_once(spark, earlier, name):
     assert _records_read(spark) - before == sum(ROWS[t] for t in READS[name])
 
 
-@pytest.mark.parametrize("name", ["area_tight_k2"])
+@pytest.mark.parametrize("name", ["area_tight_k2", "memory_access_affected"])
 def test_few_nodes_write_no_snapshot(spark, monkeypatch, name):
     monkeypatch.setattr(T, "snapshot", lambda log: pytest.fail("the whole snapshot is made"))
     assert queries.QUERIES[name](spark, SF).count() > 0
